@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from . import decontaminate
+from . import decontaminate, neardup
 
 QUERIES = {
+    "op5_neardup": neardup.op5_neardup,
     "op7_decontaminate": decontaminate.op7_decontaminate,
 }
 ORACLES = {
+    "op5_neardup": neardup.ORACLE,
     "op7_decontaminate": decontaminate.ORACLE,
 }
