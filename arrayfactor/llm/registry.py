@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from . import decontaminate, neardup
+from . import decontaminate, exactdup, neardup
 
 QUERIES = {
+    "op3_exactdup": exactdup.op3_exactdup,
     "op5_neardup": neardup.op5_neardup,
     "op7_decontaminate": decontaminate.op7_decontaminate,
 }
 ORACLES = {
+    "op3_exactdup": exactdup.ORACLE,
     "op5_neardup": neardup.ORACLE,
     "op7_decontaminate": decontaminate.ORACLE,
 }
