@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from . import decontaminate, exactdup, neardup
+from . import decontaminate, exactdup, neardup, quality
 
 QUERIES = {
+    "op2_quality": quality.op2_quality,
     "op3_exactdup": exactdup.op3_exactdup,
     "op5_neardup": neardup.op5_neardup,
     "op7_decontaminate": decontaminate.op7_decontaminate,
