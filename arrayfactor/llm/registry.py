@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import decontaminate, exactdup, neardup, quality
+from . import decontaminate, exactdup, neardup, quality, toxicity
 
 QUERIES = {
     "op2_quality": quality.op2_quality,
     "op3_exactdup": exactdup.op3_exactdup,
     "op5_neardup": neardup.op5_neardup,
+    "op9_toxicity": toxicity.op9_toxicity,
     "op7_decontaminate": decontaminate.op7_decontaminate,
 }
 ORACLES = {

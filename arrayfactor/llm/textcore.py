@@ -151,3 +151,15 @@ def ngrams(hashes: np.ndarray, ptr: np.ndarray, size: int) -> tuple[np.ndarray,
         ok[at[(at >= 0) & (at < len(ok))]] = False
     # texts shorter than ``size`` mark positions of earlier texts as well; those cross too
     return h[ok], np.flatnonzero(ok)
+
+
+def prefix_hash(buf: np.ndarray, w: Words, size: int, kind: str = "alnum") -> np.ndarray:
+    """Hash of the first ``size`` bytes of each word (of all of a shorter one)."""
+    value_of, power = _TABLES[kind][1], _powers(size)
+    h = np.full(len(w.hash), U64(size) * U64(0x1234567))
+    with np.errstate(over="ignore"):
+        for k in range(size):
+            at = w.start + k
+            inside = at < w.end
+            h += np.where(inside, value_of[buf[np.where(inside, at, w.start)]] * power[k], U64(0))
+    return mix64(h)
