@@ -2,17 +2,19 @@
 
 from __future__ import annotations
 
-from . import decontaminate, exactdup, neardup, quality, toxicity
+from . import decontaminate, exactdup, licenses, neardup, quality, toxicity
 
 QUERIES = {
     "op2_quality": quality.op2_quality,
     "op3_exactdup": exactdup.op3_exactdup,
+    "op4_licenses": licenses.op4_licenses,
     "op5_neardup": neardup.op5_neardup,
     "op9_toxicity": toxicity.op9_toxicity,
     "op7_decontaminate": decontaminate.op7_decontaminate,
 }
 ORACLES = {
     "op3_exactdup": exactdup.ORACLE,
+    "op4_licenses": licenses.ORACLE,
     "op5_neardup": neardup.ORACLE,
     "op7_decontaminate": decontaminate.ORACLE,
 }
