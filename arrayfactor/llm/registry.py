@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from . import decontaminate, exactdup, licenses, neardup, quality, toxicity
+from . import decontaminate, exactdup, licenses, neardup, quality, secrets, toxicity
 
 QUERIES = {
     "op2_quality": quality.op2_quality,
     "op3_exactdup": exactdup.op3_exactdup,
     "op4_licenses": licenses.op4_licenses,
     "op5_neardup": neardup.op5_neardup,
+    "op8_secrets": secrets.op8_secrets,
     "op9_toxicity": toxicity.op9_toxicity,
     "op7_decontaminate": decontaminate.op7_decontaminate,
 }
