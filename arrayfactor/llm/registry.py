@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from . import decontaminate, exactdup, licenses, neardup, quality, secrets, toxicity
+from . import decontaminate, exactdup, licenses, neardup, pii, quality, secrets, toxicity
 
 QUERIES = {
+    "op1_pii": pii.op1_pii,
     "op2_quality": quality.op2_quality,
     "op3_exactdup": exactdup.op3_exactdup,
     "op4_licenses": licenses.op4_licenses,
