@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontaminate, exactdup, licenses, neardup, pii, quality, secrets, toxicity
+from . import decontaminate, exactdup, licenses, neardup, pieces, pii, quality, secrets, toxicity
 
 QUERIES = {
     "op1_pii": pii.op1_pii,
@@ -12,6 +12,7 @@ QUERIES = {
     "op5_neardup": neardup.op5_neardup,
     "op8_secrets": secrets.op8_secrets,
     "op9_toxicity": toxicity.op9_toxicity,
+    "op6_pieces": pieces.op6_pieces,
     "op7_decontaminate": decontaminate.op7_decontaminate,
 }
 ORACLES = {
