@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontaminate, exactdup, licenses, neardup, pieces, pii, quality, secrets, toxicity
+from . import decontaminate, exactdup, licenses, neardup, pieces, pii, quality, secrets, tokencount, toxicity
 
 QUERIES = {
     "op1_pii": pii.op1_pii,
@@ -14,6 +14,7 @@ QUERIES = {
     "op9_toxicity": toxicity.op9_toxicity,
     "op6_pieces": pieces.op6_pieces,
     "op7_decontaminate": decontaminate.op7_decontaminate,
+    "op10_token_counts": tokencount.op10_token_counts,
 }
 ORACLES = {
     "op3_exactdup": exactdup.ORACLE,
