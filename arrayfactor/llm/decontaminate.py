@@ -23,7 +23,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .runtime import materialise, table
@@ -265,10 +265,29 @@ def contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, s
     return gathered.mapInArrow(_merged, VERDICT)
 
 
-def clean(docs: DataFrame, verdict: DataFrame) -> DataFrame:
-    """Rows of ``docs`` whose id has no contaminated verdict."""
-    bad = verdict.filter("contaminated").select("doc_id").distinct()
-    return docs.join(bad.hint("shuffle_hash"), "doc_id", "left_anti").select(*docs.columns)
+def _clean(blocks):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keep = np.ones(batch.num_rows, bool)
+            for lo, hi, buf, offs in chunks(batch.column("text")):
+                w = find_words(buf, offs, "alnum")
+                marks = np.zeros(len(w.hash) + 1, np.int64)
+                for block in blocks:
+                    where, which = Shard(block.value, w.hash, w.ptr).occurrences()
+                    np.add.at(marks, where, 1)
+                    np.add.at(marks, where + block.value.sizes[which], -1)
+                hit = np.concatenate([[0], np.cumsum(np.cumsum(marks[:-1]) > 0)])
+                n_hit = hit[w.ptr[1:]] - hit[w.ptr[:-1]]
+                keep[lo:hi] = (n_hit == 0) | (20 * n_hit < w.count)
+            yield batch.filter(pa.array(keep))
+
+    return run
+
+
+def clean(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """The rows of ``docs``, all columns, that are not contaminated; each batch is one shard."""
+    blocks = [docs.sparkSession.sparkContext.broadcast(b) for b in query_blocks(benchmark, block_bytes, window)]
+    return docs.mapInArrow(_clean(blocks), docs.schema)
 
 
 def op7_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -24,7 +24,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .runtime import table
+from .runtime import materialise, table, without
 
 ROUNDS = 3
 KEY = ["digest", "n_bytes", "check"]
@@ -60,13 +60,13 @@ def surviving_rows(docs: DataFrame, keep: str = "least", rounds: int = ROUNDS) -
     A group's other ids are the ones that go; where rows repeat the surviving id itself, the
     rows of such ids alone are reduced to one.
     """
-    judged = exact_duplicates(docs, keep, rounds)
-    gone = judged.filter(~F.col("kept")).select("doc_id").distinct()
-    rest = docs.join(gone.hint("shuffle_hash"), "doc_id", "left_anti")
-    repeated = judged.filter("kept").groupBy("doc_id").count().filter("count > 1").select("doc_id")
-    once = rest.join(repeated.hint("shuffle_hash"), rest.doc_id.eqNullSafe(repeated.doc_id), "left_anti")
-    again = rest.join(repeated.hint("shuffle_hash"), rest.doc_id.eqNullSafe(repeated.doc_id), "left_semi").dropDuplicates(["doc_id", "text"])
-    return once.unionByName(again).select(*docs.columns)
+    judged = materialise(exact_duplicates(docs, keep, rounds), "judged")
+    rest = without(docs, judged.filter(~F.col("kept")))
+    repeated = judged.filter("kept and doc_id is not null").groupBy("doc_id").count().filter("count > 1").select("doc_id")
+    if not repeated.limit(1).count():
+        return rest
+    again = rest.join(repeated, "doc_id", "left_semi").select(*docs.columns).dropDuplicates(["doc_id", "text"])
+    return without(rest, repeated).unionByName(again)
 
 
 def op3_exactdup(spark: SparkSession, sf_dir: str) -> DataFrame:

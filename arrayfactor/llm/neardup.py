@@ -11,8 +11,10 @@ hash; texts that agree on a longer prefix stand closer together.
    refined to as much depth as it takes to tell its members apart, and it splits over many tasks.
 3. Candidates are confirmed on full sets; confirmed links give provisional components.
 4. The rest: all pairs that share a region (a prefix of ``STEP`` hashes in any tree), lie in
-   different provisional components, could by their sizes reach the threshold and agree in enough of
-   the signature, are confirmed as well. No region is too large and no partner is dropped.
+   different provisional components and could by their sizes reach the threshold are compared by
+   signature; the clusters of alike ones are then compared on full sets. Both work on pairs of blocks
+   of bounded size with matrix operations and put out spanning forests, never all pairs; no region
+   is too large and no partner is dropped.
 
 A pair at similarity s shares no region with probability (1 - s^3)^20: 6e-7 at 0.8, and the
 signature test then loses about 1e-6. Links are confirmed on full sets, so none is false.
@@ -32,12 +34,13 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .components import components
-from .runtime import materialise, release, table
+from .runtime import materialise, release, table, without
 from .textcore import U64, chunks, find_words, mix64, ngrams, stream
 
 STEP, TREES, DEPTH = 3, 20, 8
 HASHES = STEP * TREES
 NEIGHBOURS = 2
+BLOCK = 512
 _ODD = (stream(101, HASHES) >> U64(32)).astype(np.uint32) | np.uint32(1)
 _ADD = (stream(202, HASHES) >> U64(32)).astype(np.uint32)
 
@@ -126,18 +129,114 @@ def _confirm(percent: int):
     return run
 
 
+def _groups(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Runs of equal first columns of a sorted stream; a run is a block pair, so of bounded length."""
+    held: list[pa.RecordBatch] = []
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        key = batch.column(0).to_numpy(zero_copy_only=False)
+        cuts = [0, *(np.flatnonzero(key[1:] != key[:-1]) + 1).tolist(), len(key)]
+        for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+            piece = batch.slice(a, b - a)
+            if held and held[-1].column(0)[0] != piece.column(0)[0]:
+                yield pa.Table.from_batches(held).combine_chunks().to_batches()[0]
+                held = []
+            held.append(piece)
+    if held:
+        yield pa.Table.from_batches(held).combine_chunks().to_batches()[0]
+
+
+def forest(joined: np.ndarray) -> list[tuple[int, int]]:
+    """Edges of a spanning forest of a symmetric boolean matrix."""
+    left, edges = joined.any(axis=1), []
+    while left.any():
+        front = [int(np.argmax(left))]
+        left[front] = False
+        while front:
+            at = front.pop()
+            new = np.flatnonzero(joined[at] & left)
+            left[new] = False
+            edges += [(at, int(x)) for x in new]
+            front += new.tolist()
+    return edges
+
+
+def _edges(found: Iterator[tuple[np.ndarray, list[tuple[int, int]]]]) -> Iterator[pa.RecordBatch]:
+    a: list[int] = []
+    b: list[int] = []
+    for node, edges in found:
+        for x, y in edges:
+            a.append(min(int(node[x]), int(node[y])))
+            b.append(max(int(node[x]), int(node[y])))
+        if len(a) > 10_000:
+            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
+            a, b = [], []
+    yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
+
+
+def _columns(block: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Nodes of a block, which of its pairs are open: of different components, with sizes that allow a link."""
+    node, root, n = (block.column(c).to_numpy(zero_copy_only=False) for c in ("node", "root", "n_shingles"))
+    return node, root, n, root[:, None] != root[None, :]
+
+
 def _alike(percent: int):
+    """Spanning forests of the pairs of a block whose signatures may belong to linked sets."""
     least = HASHES * percent // 100 - 5 * int(np.ceil(np.sqrt(HASHES * percent * (100 - percent)) / 100)) + 4
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if not batch.num_rows:
+    def found(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, list[tuple[int, int]]]]:
+        for block in _groups(batches):
+            node, _, n, open_ = _columns(block)
+            open_ &= 100 * np.minimum(n[:, None], n[None, :]) >= percent * np.maximum(n[:, None], n[None, :])
+            if not open_.any():
                 continue
-            x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint32).reshape(-1, HASHES) for c in ("sig_a", "sig_b"))
-            keep = pa.array((x == y).sum(axis=1) >= least)
-            yield pa.RecordBatch.from_arrays([batch.column("a").filter(keep), batch.column("b").filter(keep)], names=["a", "b"])
+            sig = np.frombuffer(b"".join(block.column("sig").to_pylist()), np.uint32).reshape(-1, HASHES)
+            agree = np.zeros(open_.shape, np.int16)
+            for k in range(HASHES):
+                agree += sig[:, k, None] == sig[None, :, k]
+            yield node, forest(open_ & (agree >= least))
+
+    return lambda batches: _edges(found(batches))
 
-    return run
+
+def _linked(percent: int):
+    """Spanning forests of the pairs of a block whose full sets reach the threshold: exact overlaps by matrix product."""
+
+    def found(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, list[tuple[int, int]]]]:
+        for block in _groups(batches):
+            node, _, n, open_ = _columns(block)
+            if not open_.any():
+                continue
+            sets = [np.frombuffer(x, U64) for x in block.column("grams").to_pylist()]
+            owner = np.repeat(np.arange(len(sets)), [len(x) for x in sets])
+            _, code, count = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+            shared = count[code] > 1
+            rank = np.cumsum(count > 1) - 1
+            owner, code = owner[shared], rank[code[shared]]
+            overlap = np.zeros(open_.shape, np.float32)
+            for lo in range(0, int((count > 1).sum()), 4096):  # whole numbers below 2**24 are exact
+                own = (code >= lo) & (code < lo + 4096)
+                part = np.zeros((len(sets), 4096), np.float32)
+                part[owner[own], code[own] - lo] = 1
+                overlap += part @ part.T
+            size = n[:, None] + n[None, :]
+            yield node, forest(open_ & (100 * overlap >= percent * (size - overlap)))
+
+    return lambda batches: _edges(found(batches))
+
+
+def in_blocks(members: DataFrame, group: str, payload: str) -> DataFrame:
+    """(key, node, root, n_shingles, payload) sorted by block pair, so that every two members of a group meet.
+
+    Members of a group of n are dealt to ceil(n / BLOCK) blocks by hash; every pair of blocks is a
+    unit of work of bounded size, whatever the group's size.
+    """
+    sizes = members.groupBy(group).agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
+    own = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
+    dealt = members.join(sizes, group).withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    key = F.xxhash64(group, F.least("own", "other"), F.greatest("own", "other"))
+    return dealt.select(key.alias("key"), "node", "root", "n_shingles", payload).repartition("key").sortWithinPartitions("key")
 
 
 def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -171,22 +270,15 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80) -> Dat
     sets = materialise(texts.join(active.withColumnRenamed("node", "doc_id").hint("shuffle_hash"), "doc_id", "left_semi").mapInArrow(_sets(shingle), "node long, grams binary"), "sets")
     links = materialise(_confirmed(best, sets, percent), "links")
     first = materialise(components(links, "first"), "roots")
-    # all other pairs of a region that could join two provisional components
+    # all other pairs of a region that could join two provisional components: first by signature, ...
     comp = members.join(first, "node", "left").select("node", "region", F.coalesce("root", "node").alias("root"))
     mixed = comp.groupBy("region").agg(F.min("root").alias("x"), F.max("root").alias("y")).filter("x != y").select("region")
-    info = nodes.select("node", "n_shingles")
-    rest = comp.join(mixed, "region").join(info, "node")
-    left = rest.select("region", F.col("node").alias("a"), F.col("root").alias("root_a"), F.col("n_shingles").alias("n_a"))
-    right = rest.select("region", F.col("node").alias("b"), F.col("root").alias("root_b"), F.col("n_shingles").alias("n_b"))
-    crossing = (
-        left.join(right, "region")
-        .filter((F.col("a") < F.col("b")) & (F.col("root_a") != F.col("root_b")) & (100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b")))
-        .select("a", "b").distinct()
-    )
-    sig = nodes.select("node", "sig")
-    alike = crossing.join(sig.toDF("a", "sig_a"), "a").join(sig.toDF("b", "sig_b"), "b").select("a", "b", "sig_a", "sig_b").mapInArrow(_alike(percent), "a long, b long")
-    alike = materialise(alike, "alike")
-    more = materialise(_confirmed(alike, sets, percent), "more")
+    rest = comp.join(mixed, "region").join(nodes.select("node", "n_shingles", "sig"), "node")
+    alike = materialise(in_blocks(rest, "region", "sig").mapInArrow(_alike(percent), "a long, b long"), "alike")
+    # ... then, among the members of each cluster of alike signatures, on full sets
+    cluster = components(alike, "clusters").withColumnRenamed("root", "cluster")
+    close = cluster.join(first, "node", "left").select("node", "cluster", F.coalesce("root", "node").alias("root")).join(nodes.select("node", "n_shingles"), "node").join(sets, "node")
+    more = materialise(in_blocks(close, "cluster", "grams").mapInArrow(_linked(percent), "a long, b long"), "more")
     last = components(links.unionByName(more), "last") if more.limit(1).count() else first
     group = nodes.join(last, "node", "left").select(*key, F.coalesce("root", "node").alias("root"))
     out = signed.select("doc_id", *key).join(group, key, "left")
@@ -195,6 +287,11 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80) -> Dat
     return out.select("doc_id", "n_shingles", own.alias("component_id"), F.coalesce(F.col("doc_id") == own, F.lit(True)).alias("kept"))
 
 
+def surviving_rows(docs: DataFrame, shingle: int = 5, percent: int = 80) -> DataFrame:
+    """The rows of ``docs`` that stay: the one with the least id of each group."""
+    return without(docs, near_duplicates(docs, shingle, percent).filter(~F.col("kept")))
+
+
 def op5_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"), shingle=4, percent=80)
 

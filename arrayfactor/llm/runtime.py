@@ -7,6 +7,7 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 _OWN: dict[str, str] = {}
 
@@ -51,6 +52,20 @@ def release(spark: SparkSession, df: DataFrame) -> None:
             fs.delete(folder, True)
 
 
+BROADCAST_ROWS = 2_000_000
+
+
+def without(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """Rows of ``docs`` whose doc_id is not in ``ids``.
+
+    The ids are written first; where they are few (a checked number of 8-byte values) they are broadcast
+    and the texts stay where they are, otherwise both sides are shuffled.
+    """
+    gone = materialise(ids.select("doc_id").filter("doc_id is not null").distinct(), "gone")
+    side = F.broadcast(gone) if gone.count() <= BROADCAST_ROWS else gone.hint("shuffle_hash")
+    return docs.join(side, "doc_id", "left_anti").select(*docs.columns)
+
+
 def _remove_at_exit(spark: SparkSession, path: str) -> None:
     def remove() -> None:
         try:
