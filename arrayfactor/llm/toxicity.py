@@ -85,20 +85,31 @@ def _count_tokens(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
         yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), c), pa.int32()), pa.array(at, pa.int32()), pa.array(own[at])], names=["y", "bucket", "n"])
 
 
-def _counts(texts: DataFrame, classes: int) -> np.ndarray:
-    rows = texts.mapInArrow(_count_tokens, "y int, bucket int, n long").groupBy("y", "bucket").agg(F.sum("n").alias("n")).toPandas()
-    out = np.zeros((classes, 1 << BITS))  # at most one row for each class and bucket
-    out[rows["y"].to_numpy(), rows["bucket"].to_numpy()] = rows["n"].to_numpy()
-    return out
+def _counts(texts: DataFrame) -> DataFrame:
+    return texts.mapInArrow(_count_tokens, "y int, bucket int, n long").groupBy("y", "bucket").agg(F.sum("n").alias("n"))
+
 
+def token_scores(sample: DataFrame, texts: DataFrame) -> np.ndarray | None:
+    """Score of every bucket: log-odds with an informative Dirichlet prior where they are large and
+    significant, else zero, less the drift; None where a class has no tokens.
 
-def token_scores(toxic: np.ndarray, clean: np.ndarray, everything: np.ndarray) -> np.ndarray:
-    """Log-odds with an informative Dirichlet prior, insignificant ones zero, less the drift."""
-    prior = PRIOR_WEIGHT * (everything + 0.5) / (everything.sum() + 0.5 * len(everything))
-    a, b = toxic + prior, clean + prior
-    odds = np.log(a / (a.sum() - a)) - np.log(b / (b.sum() - b))
-    z = odds / np.sqrt(1 / a + 1 / b)
-    return np.where((np.abs(z) >= MIN_Z) & (np.abs(odds) >= MIN_ODDS) & (toxic + clean > 0), odds, 0.0) - DRIFT
+    The odds are worked out in Spark; only buckets with a score come to the driver.
+    """
+    of = lambda y: F.coalesce(F.sum(F.when(F.col("y") == y, F.col("n"))), F.lit(0)).cast("double")
+    by_class = materialise(_counts(sample).groupBy("bucket").agg(of(1).alias("toxic"), of(0).alias("clean")), "classes")
+    everything = materialise(_counts(texts).select("bucket", F.col("n").alias("all")), "background")
+    own = by_class.agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean")).first()
+    if not own.toxic or not own.clean:
+        return None
+    total = everything.agg(F.sum("all").alias("n")).first().n
+    prior = PRIOR_WEIGHT * (F.col("all") + 0.5) / (total + 0.5 * (1 << BITS))
+    a, b = F.col("toxic") + prior, F.col("clean") + prior
+    odds = F.log(a / (own.toxic + PRIOR_WEIGHT - a)) - F.log(b / (own.clean + PRIOR_WEIGHT - b))
+    scored = by_class.join(everything, "bucket").select("bucket", odds.alias("odds"), (odds / F.sqrt(1 / a + 1 / b)).alias("z"))
+    rows = scored.filter((F.abs("z") >= MIN_Z) & (F.abs("odds") >= MIN_ODDS)).select("bucket", "odds").toPandas()
+    out = np.full(1 << BITS, -DRIFT, np.float32)
+    out[rows["bucket"].to_numpy()] = rows["odds"].to_numpy() - DRIFT
+    return out
 
 
 def maximal_segments(scores: np.ndarray) -> list[tuple[int, int, float]]:
@@ -185,10 +196,9 @@ def fit(docs: DataFrame, labels: DataFrame, label: str, usable, per_class: int =
     frequency = {int(r["y"]): r["n"] for r in labels.filter(F.col("doc_id").isNotNull() & F.col(label).isin(0, 1) & usable).groupBy(F.col(label).cast("int").alias("y")).agg(F.count("*").alias("n")).collect()}
     # a text that was copied many times over counts once, lest its words look typical of its class
     sample = materialise(labelled_sample(docs, labels, label, usable, per_class).select("text", "y").dropDuplicates(["text"]), "labelled")
-    by_class = _counts(sample, 2)
-    if not by_class[0].sum() or not by_class[1].sum():
+    token = token_scores(sample, docs.select("text"))
+    if token is None:
         return Model(np.full(1 << BITS, -DRIFT, np.float32), 1.0, 1.0, 0.0, -35.0)
-    token = token_scores(by_class[1], by_class[0], _counts(docs.select("text"), 1)[0]).astype(np.float32)
     sent = docs.sparkSession.sparkContext.broadcast(token)
     seen = sample.mapInArrow(_best(sent), "y int, n long, scores array<double>").toPandas()  # bounded by the sample
     y, n = seen["y"].to_numpy(), seen["n"].to_numpy()
@@ -225,5 +235,21 @@ def judged(docs: DataFrame, labels: DataFrame) -> DataFrame:
     return score(docs, fit(docs, labels, "toxic", ~held), held)
 
 
+def _reject(model):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        m = model.value
+        for batch in batches:
+            x = np.array([evidence(s, n, m.decay, m.rate) for n, s in _scan(batch.column("text"), m.token)], float)
+            yield batch.filter(pa.array(m.probability(x) < 0.5))
+
+    return run
+
+
+def surviving_rows(docs: DataFrame, labels: DataFrame) -> DataFrame:
+    """The rows of ``docs``, all columns, that are not judged toxic."""
+    model = docs.sparkSession.sparkContext.broadcast(fit(docs, labels, "toxic", fold_of(5) != 0))
+    return docs.mapInArrow(_reject(model), docs.schema)
+
+
 def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judged(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")).drop("passages")
