@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict[str, str] = {}
-FLAGSHIP = None
+from . import queries_arrays, queries_engine, queries_models
+
+QUERIES = queries_arrays.QUERIES | queries_engine.QUERIES | queries_models.QUERIES
+ORACLES: dict[str, str] = queries_arrays.ORACLES | queries_engine.ORACLES
+FLAGSHIP = queries_models.flagship
