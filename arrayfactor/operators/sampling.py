@@ -163,7 +163,16 @@ def blocks(arr: DataFrame, plan: DataFrame, sizes: Sequence[int], shards: int, s
     found = extract(arr, plan, sizes).groupBy("sub_id").agg(F.array_sort(F.collect_list(F.struct("lin", "y"))).alias("cells"))
     shard = F.pmod(F.xxhash64(F.lit(seed), "sub_id"), F.lit(shards)).cast("int")
     joined = sets.join(found, "sub_id", "left").withColumn("cells", F.coalesce("cells", F.array().cast("array<struct<lin:int,y:double>>")))
-    return joined.select(shard.alias("shard"), "sub_id", "sets", F.transform("cells", lambda c: c["lin"]).alias("lin"), F.transform("cells", lambda c: c["y"]).alias("y"))
+
+    def place(lin):
+        """The cell's place in the subarray's own shape: a grid's last segments are shorter."""
+        out = F.lit(0)
+        for k, side in enumerate(sizes):
+            inner = math.prod(sizes[k + 1 :])
+            out = out * F.size(F.get("sets", F.lit(k))) + F.pmod(F.floor(lin / inner), F.lit(side))
+        return out.cast("int")
+
+    return joined.select(shard.alias("shard"), "sub_id", "sets", F.transform("cells", lambda c: place(c["lin"])).alias("lin"), F.transform("cells", lambda c: c["y"]).alias("y"))
 
 
 def coverage(arr: DataFrame, plan: DataFrame, sizes: Sequence[int]) -> DataFrame:

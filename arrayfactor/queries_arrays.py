@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -162,13 +163,13 @@ POS = "((i1 - 1) * m2 * m3 + (i2 - 1) * m3 + i3)"
 
 @query("linear_index", ENC + f" SELECT e.*, {POS}::BIGINT AS pos FROM e, m")
 def linear_index(spark: SparkSession, sf: str) -> DataFrame:
-    arr = w.encoded_log(spark, sf)
+    arr = w.stored_log(spark, sf)
     return arrays.linear_index(arr, w.sizes_of(arr))
 
 
 @query("from_linear", ENC + f" SELECT e.*, {POS}::BIGINT AS pos FROM e, m")
 def from_linear(spark: SparkSession, sf: str) -> DataFrame:
-    arr = w.encoded_log(spark, sf)
+    arr = w.stored_log(spark, sf)
     sizes = w.sizes_of(arr)
     return arrays.from_linear(arrays.linear_index(arr, sizes).select("pos", "y"), sizes)
 
@@ -177,13 +178,13 @@ for _k, _row, _col in ((1, "i1", "(i2 - 1) * m3 + i3"), (2, "i2", "(i1 - 1) * m3
 
     @query(f"unfold_mode{_k}", ENC + f" SELECT {_row} AS row, ({_col})::BIGINT AS col, y FROM e, m")
     def unfold(spark: SparkSession, sf: str, k: int = _k) -> DataFrame:
-        arr = w.encoded_log(spark, sf)
+        arr = w.stored_log(spark, sf)
         return arrays.unfold(arr, k, w.sizes_of(arr))
 
 
 @query("mode_product", ENC + f", u AS (SELECT j, i1 AS i, {U('j', 'i1')} AS u FROM range(1, 4) t(j), (SELECT DISTINCT i1 FROM e)) SELECT j AS i1, i2, i3, round(sum(y * u), 6) + 0.0 AS y FROM e JOIN u ON i1 = i GROUP BY j, i2, i3")
 def mode_product(spark: SparkSession, sf: str) -> DataFrame:
-    arr = w.encoded_log(spark, sf)
+    arr = w.stored_log(spark, sf)
     matrix = spark.range(1, 4).toDF("j").join(spark.range(1, w.sizes_of(arr)[0] + 1).toDF("i"), F.lit(True)).withColumn("u", uniform(keyed(F.col("j"), F.col("i"))))
     return num(arrays.mode_product(arr, matrix, 1), "y")
 
@@ -197,13 +198,13 @@ CORE = {(a, b, c): round(0.1 + 0.37 * a + 0.21 * b - 0.13 * c, 2) for a in range
 
 @query("tucker_cells", ENC + " SELECT i1, i2, i3, round(" + " + ".join(f"({v}) * {_fu(1, a)} * {_fu(2, b)} * {_fu(3, c)}" for (a, b, c), v in CORE.items()) + ", 6) + 0.0 AS value FROM e")
 def tucker_cells(spark: SparkSession, sf: str) -> DataFrame:
-    arr = w.encoded_log(spark, sf)
+    arr = w.stored_log(spark, sf)
     return num(arrays.tucker_cells(arr, CORE, baselines.random_factors(spark, w.sizes_of(arr), 2, 11)), "value")
 
 
 @query("cp_cells", ENC + " SELECT i1, i2, i3, round(" + " + ".join(f"{_fu(1, d)} * {_fu(2, d)} * {_fu(3, d)}" for d in range(2)) + ", 6) + 0.0 AS value FROM e")
 def cp_cells(spark: SparkSession, sf: str) -> DataFrame:
-    arr = w.encoded_log(spark, sf)
+    arr = w.stored_log(spark, sf)
     return num(arrays.cp_cells(arr, baselines.random_factors(spark, w.sizes_of(arr), 2, 11), 2), "value")
 
 
@@ -239,7 +240,7 @@ def frobenius(spark: SparkSession, sf: str) -> DataFrame:
 
 @query("inner_product", ENC + f", b AS (SELECT i1, i2, i3, {U('i1', 'i2', 'i3')} AS z FROM e WHERE i1 % 2 = 0) SELECT round(sum(y * z), 4) AS inner FROM e JOIN b USING (i1, i2, i3)".replace("AS inner", 'AS "inner"'))
 def inner_product(spark: SparkSession, sf: str) -> DataFrame:
-    arr = w.encoded_log(spark, sf)
+    arr = w.stored_log(spark, sf)
     other = arr.filter("i1 % 2 = 0").withColumn("y", uniform(keyed(F.col("i1"), F.col("i2"), F.col("i3"))))
     return num(arrays.inner(arr, other), "inner", digits=4)
 
@@ -264,12 +265,12 @@ def array_stats(spark: SparkSession, sf: str) -> DataFrame:
 
 @query("slice_weights", ENC + " SELECT * FROM sw")
 def slice_weights(spark: SparkSession, sf: str) -> DataFrame:
-    return arrays.slice_weights(w.encoded_log(spark, sf))
+    return arrays.slice_weights(w.stored_log(spark, sf))
 
 
 @query("slice_weights_gs", ENC + " SELECT * FROM sw")
 def slice_weights_gs(spark: SparkSession, sf: str) -> DataFrame:
-    return arrays.slice_weights_by_sets(w.encoded_log(spark, sf))
+    return arrays.slice_weights_by_sets(w.stored_log(spark, sf))
 
 
 @query("top_users_array", f"WITH {LOG} SELECT user_id, event_type, k, 1.0::DOUBLE AS y FROM log WHERE user_id IN (SELECT user_id FROM (SELECT user_id, count(*) AS c FROM log GROUP BY user_id ORDER BY c DESC, user_id LIMIT 50))")
@@ -284,7 +285,7 @@ def top_entities_array(spark: SparkSession, sf: str) -> DataFrame:
 
 @query("permute_modes", ENC + "".join(f", p{k} AS (SELECT i{k} AS old, row_number() OVER (ORDER BY md5('5:{k}:' || i{k}), i{k}) AS n{k} FROM (SELECT DISTINCT i{k} FROM e))" for k in (1, 2, 3)) + " SELECT n1 AS i1, n2 AS i2, n3 AS i3, y FROM e JOIN p1 ON i1 = p1.old JOIN p2 ON i2 = p2.old JOIN p3 ON i3 = p3.old")
 def permute_modes(spark: SparkSession, sf: str) -> DataFrame:
-    return arrays.permute_modes(w.encoded_log(spark, sf), 5)
+    return arrays.permute_modes(w.stored_log(spark, sf), 5)
 
 
 # ---- kernels
@@ -315,7 +316,7 @@ PLACES = ", x AS MATERIALIZED (SELECT a.sub_id, ((a.pos - 1) * 3 + (b.pos - 1))
 
 
 def _plan(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
-    arr = w.encoded_log(spark, sf)
+    arr = w.stored_log(spark, sf)
     return arr, sampling.sample_by_hash(arrays.slice_weights(arr), 4, SIDES, 9)
 
 
@@ -326,7 +327,7 @@ def sample_uniform(spark: SparkSession, sf: str) -> DataFrame:
 
 @query("sample_weighted", ENC + f" SELECT sub_id, mode, pos, idx FROM (SELECT sub_id, mode, idx, row_number() OVER (PARTITION BY sub_id, mode ORDER BY -ln(greatest({U('9', 'sub_id', 'mode', 'idx')}, 1e-300)) / weight, idx) AS pos FROM sw, range(4) s(sub_id)) WHERE pos <= {_LIMIT}")
 def sample_weighted(spark: SparkSession, sf: str) -> DataFrame:
-    return sampling.sample_by_hash(arrays.slice_weights(w.encoded_log(spark, sf)), 4, SIDES, 9, weighted=True)
+    return sampling.sample_by_hash(arrays.slice_weights(w.stored_log(spark, sf)), 4, SIDES, 9, weighted=True)
 
 
 GRID = ENC + f", gr AS MATERIALIZED (SELECT mode, idx, ((row_number() OVER (PARTITION BY mode ORDER BY md5('9:' || mode || ':' || idx), idx) - 1) // ({_LIMIT}))::BIGINT AS segment FROM sw)"
@@ -334,12 +335,12 @@ GRID = ENC + f", gr AS MATERIALIZED (SELECT mode, idx, ((row_number() OVER (PART
 
 @query("sample_grid", GRID + " SELECT * FROM gr")
 def sample_grid(spark: SparkSession, sf: str) -> DataFrame:
-    return sampling.grid_segments(arrays.slice_weights(w.encoded_log(spark, sf)), SIDES, 9)
+    return sampling.grid_segments(arrays.slice_weights(w.stored_log(spark, sf)), SIDES, 9)
 
 
 @query("grid_cube_nnz", GRID + " SELECT a.segment AS s1, b.segment AS s2, c.segment AS s3, count(*) AS nnz FROM e JOIN gr a ON a.mode = 1 AND a.idx = i1 JOIN gr b ON b.mode = 2 AND b.idx = i2 JOIN gr c ON c.mode = 3 AND c.idx = i3 GROUP BY ALL")
 def grid_cube_nnz(spark: SparkSession, sf: str) -> DataFrame:
-    arr = w.encoded_log(spark, sf)
+    arr = w.stored_log(spark, sf)
     return sampling.grid_cubes(arr, sampling.grid_segments(arrays.slice_weights(arr), SIDES, 9)).groupBy("s1", "s2", "s3").agg(F.count("*").alias("nnz"))
 
 
@@ -377,7 +378,7 @@ def shard_partition_counts(spark: SparkSession, sf: str) -> DataFrame:
 @query("sample_block_local")
 def sample_block_local(spark: SparkSession, sf: str) -> DataFrame:
     """Two stages: nonzeros go once to their super-block, subarrays are drawn inside each."""
-    arr = w.encoded_log(spark, sf)
+    arr = w.stored_log(spark, sf)
     cubes = sampling.grid_cubes(arr, sampling.grid_segments(arrays.slice_weights(arr), [25, 5, 25], 9))
     key = F.concat_ws("-", "s1", "s2", "s3")
     mode = F.explode(F.array(*[F.struct(F.lit(k).alias("mode"), F.col(f"i{k}").alias("idx")) for k in (1, 2, 3)]))
@@ -414,18 +415,16 @@ for _merge, _n, _wrap in (("mean", "4", "{0}"), ("touched", "count(DISTINCT shar
         return _flat(train.merge_factors(factors, deltas, 4, how, 0.2))
 
 
-@query("decay_closed_form", "SELECT gap, round(0.7 * pow(1 - 0.1 / (1.0 * 20), gap), 9) AS dev FROM range(0, 21) t(gap)")
+@query("decay_closed_form", "SELECT gap, round(0.7 * pow(1 - 0.1 / (1.0 * 20), gap), 8) AS dev FROM range(0, 21) t(gap)")
 def decay_closed_form(spark: SparkSession, sf: str) -> DataFrame:
     """The prior's pull applied step by step, against its closed form in the SQL."""
     from .functions.gp import ShardState
 
     rows = []
     for gap in range(21):
-        import numpy as np
-
         state = ShardState(lambda mode, idx: np.zeros(1), 20, 0.1, 1.0)
         state.deviation[0, 1], state.seen[0, 1], state.now = np.array([0.7]), 0, gap
-        rows.append((gap, round(float(state.settled((0, 1))[0]), 9)))
+        rows.append((gap, round(float(state.settled((0, 1))[0]), 8)))
     return spark.createDataFrame(rows, "gap long, dev double")
 
 
@@ -433,7 +432,7 @@ _BAGS = ENC + f", s AS (SELECT i1, i2, i3, bag, {U(chr(39) + 's' + chr(39), 'bag
 
 
 def _bag_scores(spark: SparkSession, sf: str) -> DataFrame:
-    arr = w.encoded_log(spark, sf).join(F.broadcast(spark.range(10).toDF("bag")), F.lit(True))
+    arr = w.stored_log(spark, sf).join(F.broadcast(spark.range(10).toDF("bag")), F.lit(True))
     return arr.select("i1", "i2", "i3", uniform(keyed("s", F.col("bag"), F.col("i1"), F.col("i2"), F.col("i3"))).alias("mean"), (F.col("bag") + 1).alias("wt"))
 
 
@@ -469,19 +468,19 @@ for _k in (1, 2, 3):
 
     @query(f"mttkrp_mode{_k}", _khatri_sql(_k))
     def khatri(spark: SparkSession, sf: str, k: int = _k) -> DataFrame:
-        arr = w.encoded_log(spark, sf)
+        arr = w.stored_log(spark, sf)
         return _long(baselines.mttkrp(arr, baselines.random_factors(spark, w.sizes_of(arr), 3, 11), k, 3))
 
 
 @query("sparse_mttkrp", _khatri_sql(1))
 def sparse_mttkrp(spark: SparkSession, sf: str) -> DataFrame:
-    arr = w.encoded_log(spark, sf)
+    arr = w.stored_log(spark, sf)
     return _long(baselines.sparse_mttkrp(arr, baselines.random_factors(spark, w.sizes_of(arr), 3, 11), 1, 3))
 
 
 @query("gram_mode1", ENC + " SELECT l.i1 AS a, r.i1 AS b, sum(l.y * r.y) AS g FROM e l JOIN e r USING (i2, i3) GROUP BY ALL")
 def gram_mode1(spark: SparkSession, sf: str) -> DataFrame:
-    return baselines.gram(w.encoded_log(spark, sf), 1)
+    return baselines.gram(w.stored_log(spark, sf), 1)
 
 
 _DEG = " SELECT e.i1, e.i2, e.i3, a.weight::DOUBLE * b.weight * c.weight AS score FROM e JOIN sw a ON a.mode = 1 AND a.idx = i1 JOIN sw b ON b.mode = 2 AND b.idx = i2 JOIN sw c ON c.mode = 3 AND c.idx = i3"
@@ -489,13 +488,13 @@ _DEG = " SELECT e.i1, e.i2, e.i3, a.weight::DOUBLE * b.weight * c.weight AS scor
 
 @query("degree_score", ENC + _DEG)
 def degree_score(spark: SparkSession, sf: str) -> DataFrame:
-    arr = w.encoded_log(spark, sf)
+    arr = w.stored_log(spark, sf)
     return baselines.degree_score(arr, arrays.slice_weights(arr)).drop("y")
 
 
 @query("impute_mean", ENC + " SELECT round(sum(y) / (any_value(m1) * any_value(m2) * any_value(m3)), 9) AS value, (any_value(m1) * any_value(m2) * any_value(m3) - count(*))::BIGINT AS absent FROM e, m")
 def impute_mean(spark: SparkSession, sf: str) -> DataFrame:
-    arr = w.encoded_log(spark, sf)
+    arr = w.stored_log(spark, sf)
     a, b, c = w.sizes_of(arr)
     return num(baselines.impute(arr, a * b * c), "value", digits=9)
 
@@ -534,7 +533,7 @@ def _zeros_sql(count: int, sets: int) -> str:
 
 @query("zero_candidates", ENC + _zeros_sql(500, 2) + " SELECT * FROM zc")
 def zero_candidates(spark: SparkSession, sf: str) -> DataFrame:
-    arr = w.encoded_log(spark, sf)
+    arr = w.stored_log(spark, sf)
     return protocol.zero_candidates(arr, w.sizes_of(arr), 500, 4, 2)
 
 
@@ -542,7 +541,7 @@ _SETS = ENC + _zeros_sql(400, 5) + f", rest AS (SELECT i1, i2, i3 FROM e WHERE {
 
 
 def _test_sets(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
-    arr = w.encoded_log(spark, sf)
+    arr = w.stored_log(spark, sf)
     return arr, protocol.holdout_sets(arr, w.sizes_of(arr), 0.8, 5, 50, 200, 4)[1]
 
 

@@ -52,6 +52,11 @@ def encoded_log(spark: SparkSession, sf_dir: str) -> DataFrame:
     return arrays.encode(arr, arrays.mode_dictionary(arr, LOG), LOG)
 
 
+def stored_log(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The encoded array written once, for plans that read it several times."""
+    return checkpointed(encoded_log(spark, sf_dir), "log")
+
+
 def encoded_triples(spark: SparkSession, sf_dir: str, top: int = 200, least: int = 1) -> DataFrame:
     """Triples with one shared word dictionary in every mode, indices by frequency rank."""
     docs = table(spark, sf_dir, "documents").select(tokens(F.col("text")).alias("w"))
