@@ -74,8 +74,7 @@ class QueryBlock:
         for k in range(self.keys):
             for j in range(self.per_key):
                 out[:, k] = (out[:, k] << np.uint64(self.bits)) | ids[:, k * self.per_key + j].astype(np.uint64)
-        # a leading one bit keeps every byte string at full length (trailing zeros are not significant in numpy)
-        return np.ascontiguousarray(out.astype(">u8")).view(np.uint8).reshape(len(ids), -1)
+        return np.ascontiguousarray(out.astype(">u8")).view(np.uint8).reshape(len(ids), 8 * self.keys)
 
 
 def _as_bytes(rows: np.ndarray) -> np.ndarray:
