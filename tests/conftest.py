@@ -38,13 +38,15 @@ def duck():
 
 @pytest.fixture(scope="session")
 def same():
+    import pandas as pd
+
     def compare(a, b):
         cols = sorted(a.columns)
         assert cols == sorted(b.columns)
 
         def rows(d):
             def text(v):
-                if v is None or v != v:
+                if pd.isna(v):
                     return "null"
                 return repr(float(v)) if isinstance(v, (int, float)) and not isinstance(v, bool) else str(v)
 
