@@ -128,6 +128,19 @@ def grid_plan(segments: DataFrame, array_sizes: Sequence[int], sizes: Sequence[i
     return out
 
 
+def sample_grid(spark: SparkSession, array_sizes: Sequence[int], sizes: Sequence[int], repeats: int, seed: int) -> DataFrame:
+    """The plans of ``repeats`` grids over whole modes, each with its own permutation: every cell once a repeat."""
+    every, out = None, None
+    for k, m in enumerate(array_sizes, 1):
+        own = spark.range(1, m + 1).select(F.lit(k).alias("mode"), F.col("id").alias("idx"))
+        every = own if every is None else every.unionByName(own)
+    total = math.prod(math.ceil(m / b) for m, b in zip(array_sizes, sizes, strict=True))
+    for r in range(repeats):
+        plan = grid_plan(grid_segments(every, sizes, seed + 1000 * r), array_sizes, sizes).withColumn("sub_id", F.col("sub_id") + r * total)
+        out = plan if out is None else out.unionByName(plan)
+    return out
+
+
 def subarrays_for_coverage(sizes: Sequence[int], cells: float, coverage: float = 1.0) -> int:
     """How many subarrays of these sides visit ``coverage`` times as many cells as the array has."""
     return math.ceil(coverage * cells / math.prod(sizes))

@@ -39,11 +39,8 @@ def draw_plan(arr: DataFrame, sizes: list[int], how: str, count: int, sides: lis
         return sampling.sample_uniform(arr.sparkSession, sizes, count, sides, seed)
     if how == "weighted":
         return sampling.sample_weighted(arrays.slice_weights(arr), count, sides, seed)
-    every = None
-    for k, m in enumerate(sizes, 1):
-        own = arr.sparkSession.range(1, m + 1).select(F.lit(k).alias("mode"), F.col("id").alias("idx"))
-        every = own if every is None else every.unionByName(own)
-    return sampling.grid_plan(sampling.grid_segments(every, sides, seed), sizes, sides)
+    cubes = int(np.prod([-(-m // b) for m, b in zip(sizes, sides, strict=True)]))
+    return sampling.sample_grid(arr.sparkSession, sizes, sides, max(1, round(count / cubes)), seed)
 
 
 def fitted(arr: DataFrame, sizes: list[int], how: str, p: train.TrainParams, count: int = 24, sides: tuple[int, ...] = (12, 12, 12), shards: int = 3, **options) -> train.Model:

@@ -97,7 +97,7 @@ def trade_records(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def planted(spark: SparkSession, side: int = 24, share: float = 0.15, linear: bool = False, seed: int = 3) -> DataFrame:
-    """A dense array with known structure: (i1, i2, i3, y), y = 1 in the top share of the cells.
+    """An array with known structure: nonzeros (i1, i2, i3, y), ones in the top share of all cells.
 
     The nonlinear truth mixes products of waves of hidden coordinates; the linear twin is a positive
     rank-two product, on which a multilinear model has nothing to lose.
@@ -111,4 +111,4 @@ def planted(spark: SparkSession, side: int = 24, share: float = 0.15, linear: bo
         truth = F.sin(2 * 3.141592653589793 * u(1, 0)) * F.sin(2 * 3.141592653589793 * (u(2, 0) + u(3, 0))) + 0.5 * F.cos(2 * 3.141592653589793 * u(1, 1) * u(2, 1))
     cells = checkpointed(cells.withColumn("truth", truth), "planted")
     cut = cells.agg(F.expr(f"percentile(truth, {1 - share})").alias("c")).first().c
-    return cells.select("i1", "i2", "i3", (F.col("truth") > cut).cast("double").alias("y"))
+    return cells.filter(F.col("truth") > cut).select("i1", "i2", "i3", F.lit(1.0).alias("y"))
