@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 from .runtime import table
 
 SIGN = "▁"
-KEPT = 300_000
+KEPT = 500_000
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 
 
@@ -57,7 +57,7 @@ class PieceTransducer:
             elif not source.is_control(i) and not source.is_unused(i):
                 self.rank[piece] = (-source.get_score(i), i)
                 self.surface[i] = piece.replace(SIGN, " ").encode()
-        self.longest = max(map(len, self.rank))
+        self.begun = {p[:i] for p in self.rank for i in range(1, len(p))}
         self.side_by_side = {p[i : i + 2] for p in self.rank for i in range(len(p) - 1)}
         joined = {c for p in self.rank if len(p) > 1 for c in p}
         alone = "".join(c for c in map(chr, range(128)) if c not in joined)
@@ -79,36 +79,35 @@ class PieceTransducer:
             parts[at : at + 2] = [parts[at] + parts[at + 1]]
 
     def fit(self, a: str, b: str) -> bool:
-        """Whether b may follow a: the arc's cost is zero, otherwise infinite."""
-        if a[-1] + b[0] not in self.side_by_side:
-            return self.reached(b)
-        got = self.fits.get((a, b))
-        if got is None:
-            if len(self.fits) > 4 * KEPT:
-                self.fits.clear()
-            got = self.fits[a, b] = self.merged(a + b) == [a, b]
-        return got
-
-    def reached(self, piece: str) -> bool:
-        """Whether merging makes the piece of its own text at all."""
-        got = self.fits.get((piece, ""))
-        if got is None:
-            got = self.fits[piece, ""] = self.merged(piece) == [piece]
-        return got
+        """Whether b may follow a (or begin, after nothing): the arc's cost is zero, otherwise infinite."""
+        if len(self.fits) > 2 * KEPT:
+            self.fits.clear()
+        if not a or a[-1] + b[0] not in self.side_by_side:
+            good = self.merged(b) == [b]
+        else:
+            good = self.merged(a + b) == [a, b]
+        self.fits[a, b] = good
+        return good
 
     def shortest_path(self, text: str) -> list[str]:
-        """The one path of finite cost through a segment, as pieces."""
-        last: list[str | None] = [""] + [None] * len(text)
-        for end in range(1, len(text) + 1):
-            for start in range(max(0, end - self.longest), end):
-                before = last[start]
-                if before is None:
-                    continue
+        """The one path of finite cost through a segment, as pieces.
+
+        States are places in the segment; each has one piece that ends there. From a state the
+        arcs follow the pieces' common beginnings, and arcs to a state that is reached are left out.
+        """
+        n, fits, rank, begun = len(text), self.fits, self.rank, self.begun
+        last: list[str | None] = [""] + [None] * n
+        for start in range(n):
+            before = last[start]
+            for end in range(start + 1, n + 1):
                 piece = text[start:end]
-                if (end - start == 1 or piece in self.rank) and (self.fit(before, piece) if before else self.reached(piece)):
-                    last[end] = piece
+                if last[end] is None and (end == start + 1 or piece in rank):
+                    good = fits.get((before, piece))
+                    if good if good is not None else self.fit(before, piece):
+                        last[end] = piece
+                if piece not in begun:
                     break
-        out, at = [], len(text)
+        out, at = [], n
         while at:
             out.append(last[at])
             at -= len(last[at])
