@@ -606,3 +606,10 @@ def log_loss(spark: SparkSession, sf: str) -> DataFrame:
 def scaling_curve(spark: SparkSession, sf: str) -> DataFrame:
     times = spark.createDataFrame([(4, 400.0), (8, 210.0), (12, 145.0), (16, 112.0)], "machines int, seconds double")
     return num(measures.scaling_curve(times, 4), "relative", "speedup")
+
+
+@query("traffic_model", "SELECT name, 8.0::DOUBLE * (m1 + m2 + m3) * r AS factors, touched * (8.0::DOUBLE * r + 12) AS deltas, round(12.0::DOUBLE * 1.07 * nnz, 3) AS blocks FROM (VALUES ('knowledge', 20000.0::DOUBLE, 12295.0::DOUBLE, 280.0::DOUBLE, 5, 30000.0::DOUBLE, 69000.0::DOUBLE), ('log', 2000.0, 179.0, 199800.0, 10, 150000.0, 2100000.0)) t(name, m1, m2, m3, r, touched, nnz)")
+def traffic_model(spark: SparkSession, sf: str) -> DataFrame:
+    """Bytes of a round for the two large arrays: parent factors, changed rows, and once the blocks."""
+    rows = [(name, *cost.traffic(m, [r] * 3, nnz, 1.07, touched).values()) for name, m, r, touched, nnz in (("knowledge", (20000, 12295, 280), 5, 30000, 69000), ("log", (2000, 179, 199800), 10, 150000, 2100000))]
+    return num(spark.createDataFrame(rows, "name string, factors double, deltas double, blocks double"), "blocks", digits=3)

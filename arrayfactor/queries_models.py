@@ -317,6 +317,51 @@ def st_online_fit(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame(seen["rows"], "batch int, bound double, rows_touched long")
 
 
+@query("train_4way")
+def train_4way(spark: SparkSession, sf: str) -> DataFrame:
+    """Four modes: nations, brands, types, nations."""
+    modes = ["c_nationkey", "p_brand", "p_type", "s_nationkey"]
+    arr = arrays.build_array(w.nation_records(spark, sf), modes)
+    arr = checkpointed(arrays.encode(arr, arrays.mode_dictionary(arr, modes), modes), "trade4")
+    return _history(spark, {"4way": fitted(arr, w.sizes_of(arr), "weighted", small_params(ranks=(3, 3, 3, 3), rounds=2), count=12, sides=(6, 6, 6, 6))})
+
+
+@query("repeated_runs")
+def repeated_runs(spark: SparkSession, sf: str) -> DataFrame:
+    """Mean and spread of the AUC over splits that differ in their seed."""
+    arr = checkpointed(w.planted(spark, 12), "planted")
+    rows = []
+    for seed in (1, 2, 3):
+        known, test = _held(arr, [12, 12, 12], seed, 0.05)
+        model = fitted(known, [12, 12, 12], "uniform", small_params(rounds=2, rate=0.1, seed=seed), count=16, sides=(8, 8, 8))
+        bags = checkpointed(draw_plan(known, [12, 12, 12], "uniform", 4, [8, 8, 8], seed=77), "bags")
+        rows.append((seed, float(measures.auc(predict.predict(model, known, test, bags, [8, 8, 8]), score="mean").first().auc)))
+    return measures.summarize(spark.createDataFrame(rows, "seed int, auc double"))
+
+
+@query("st_score")
+def st_score(spark: SparkSession, sf: str) -> DataFrame:
+    """A stream of new cells scored with a fixed model; the same plan as in batch."""
+    arr = checkpointed(w.planted(spark, 12), "planted")
+    model = fitted(arr, [12, 12, 12], "grid", small_params(rounds=1), count=8, sides=(6, 6, 6))
+    bags = checkpointed(draw_plan(arr, [12, 12, 12], "uniform", 2, [6, 6, 6], seed=77), "bags")
+    cells = spark.readStream.schema(arr.schema).parquet(arr.inputFiles()[0].rsplit("/", 1)[0])
+    return st.replayed(predict.predict(model, arr, cells, bags, [6, 6, 6]))
+
+
+@query("explore_nonzero_boxes")
+def explore_nonzero_boxes(spark: SparkSession, sf: str) -> DataFrame:
+    """The rejected strategy: boxes around sampled nonzeros; their sizes differ, which is why it is not used."""
+    arr, _ = _triples(spark, sf, 40)
+    from pyspark.sql import Window
+
+    from .functions.hashing import keyed, uniform
+
+    draw = uniform(keyed(9, F.col("box"), F.col("i1"), F.col("i2"), F.col("i3")))
+    picked = arr.join(F.broadcast(spark.range(8).toDF("box")), F.lit(True)).withColumn("n", F.row_number().over(Window.partitionBy("box").orderBy(draw))).filter("n <= 12")
+    return picked.groupBy("box").agg(F.count_distinct("i1").alias("m1"), F.count_distinct("i2").alias("m2"), F.count_distinct("i3").alias("m3"))
+
+
 def flagship(spark: SparkSession, sf: str) -> DataFrame:
     """Triples, weighted subarrays, training, bagged prediction: scored held-out cells."""
     return predict_bagged(spark, sf)
