@@ -179,17 +179,31 @@ def fit_extremes(best: np.ndarray, n: np.ndarray) -> tuple[float, float]:
 
 
 def fit_logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray) -> tuple[float, float]:
-    """Slope and intercept by Newton steps with a little shrinkage."""
-    design, beta = np.stack([x, np.ones_like(x)], 1), np.zeros(2)
-    for _ in range(50):
+    """Slope (not negative) and intercept by damped Newton steps with shrinkage.
+
+    The classes may be separable, where the unpenalised fit has no maximum; the penalty on the
+    standardised slope gives one, and a step is halved until the objective grows.
+    """
+    scale = float(x.std()) or 1.0
+    design, beta, ridge = np.stack([x / scale, np.ones_like(x)], 1), np.zeros(2), np.array([0.1, 1e-4])
+
+    def objective(b: np.ndarray) -> float:
+        z = design @ b
+        return float((weight * (y * z - np.logaddexp(0, z))).sum() - 0.5 * (ridge * b * b).sum())
+
+    now = objective(beta)
+    for _ in range(100):
         p = 1 / (1 + np.exp(-np.clip(design @ beta, -35, 35)))
-        grad = design.T @ (weight * (y - p)) - np.array([1e-3, 1e-6]) * beta
-        hess = (design * (weight * np.maximum(p * (1 - p), 1e-9))[:, None]).T @ design + np.diag([1e-3, 1e-6])
-        step = np.linalg.solve(hess, grad)
-        beta += np.clip(step, -2, 2)
-        if np.abs(step).max() < 1e-9:
+        grad = design.T @ (weight * (y - p)) - ridge * beta
+        hess = (design * (weight * p * (1 - p))[:, None]).T @ design + np.diag(ridge)
+        step, size = np.linalg.solve(hess, grad), 1.0
+        while size > 1e-6 and objective(beta + size * step) <= now:
+            size /= 2
+        if size <= 1e-6:
             break
-    return float(beta[0]), float(beta[1])
+        beta = beta + size * step
+        now = objective(beta)
+    return max(float(beta[0] / scale), 0.0), float(beta[1])
 
 
 def fit(docs: DataFrame, labels: DataFrame, label: str, usable, per_class: int = SAMPLE_PER_CLASS) -> Model:

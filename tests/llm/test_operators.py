@@ -270,6 +270,18 @@ def test_toxicity(spark, odd, empty, labels):
     assert toxicity.score(empty, none, F.lit(False)).count() == 0
 
 
+def test_logistic_fit_on_separable_and_overlapping_scores():
+    import numpy as np
+
+    rnd = np.random.default_rng(0)
+    for gap in (0.0, 3.0, 40.0):
+        x = np.concatenate([rnd.exponential(1.5, 6000), 9 + gap + rnd.exponential(8, 6000)])
+        y = np.repeat([0, 1], 6000)
+        slope, intercept = toxicity.fit_logistic(x, y, np.where(y == 1, 0.2, 1.8))
+        assert slope > 0 and ((slope * x + intercept > 0) == (y == 1)).mean() > 0.98
+    assert toxicity.fit_logistic(np.zeros(10), np.repeat([0, 1], 5), np.ones(10)) == (0.0, pytest.approx(0.0, abs=1e-6))
+
+
 def test_maximal_segments():
     import random
 
