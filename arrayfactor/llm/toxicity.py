@@ -12,8 +12,9 @@
    clean part of the labelled sample. A segment is significant if fewer than one such is expected
    by chance; a text's evidence is the sum of the significant segments' log expectations with the
    combinatorial correction for how many there are.
-4. The evidence becomes a probability by a two-parameter logistic fit on the labelled sample,
-   weighted to the classes' frequencies among the labels.
+4. The evidence becomes a probability by a logistic function on the labelled sample, weighted to
+   the classes' frequencies among the labels: its slope by maximum likelihood, its middle at the
+   cut that judges most weight rightly.
 
 The labelled sample is bounded (``SAMPLE_PER_CLASS``); counts for the prior cover all texts, and the
 score table has a fixed size, so it can be sent to all tasks. Texts are scanned whole, without a shuffle.
@@ -206,6 +207,21 @@ def fit_logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray) -> tuple[floa
     return max(float(beta[0] / scale), 0.0), float(beta[1])
 
 
+def best_cut(x: np.ndarray, y: np.ndarray, weight: np.ndarray) -> float:
+    """The evidence above which the label is likelier: the cut with the most weight judged rightly.
+
+    A few labelled texts without any toxic passage would pull a logistic fit's own cut far up; they
+    do not move this one. Of equally good cuts the middle one is taken.
+    """
+    order = np.argsort(x, kind="stable")
+    xs, gain = x[order], np.where(y[order] == 1, -weight[order], weight[order])
+    right = weight[y == 1].sum() + np.cumsum(gain)  # with everything up to here judged clean
+    last = np.append(xs[1:] != xs[:-1], True)
+    best = np.flatnonzero(last & (right >= right[last].max() - 1e-9))
+    k = best[len(best) // 2]
+    return float((xs[k] + (xs[k + 1] if k + 1 < len(xs) else xs[k] + 1)) / 2)
+
+
 def fit(docs: DataFrame, labels: DataFrame, label: str, usable, per_class: int = SAMPLE_PER_CLASS) -> Model:
     frequency = {int(r["y"]): r["n"] for r in labels.filter(F.col("doc_id").isNotNull() & F.col(label).isin(0, 1) & usable).groupBy(F.col(label).cast("int").alias("y")).agg(F.count("*").alias("n")).collect()}
     # a text that was copied many times over counts once, lest its words look typical of its class
@@ -220,8 +236,9 @@ def fit(docs: DataFrame, labels: DataFrame, label: str, usable, per_class: int =
     decay, rate = fit_extremes(best[y == 0], n[y == 0])
     x = np.array([evidence([(0, 0, v) for v in s], size, decay, rate) for s, size in zip(seen["scores"], n, strict=True)])
     weight = np.array([frequency[c] / (y == c).sum() for c in (0, 1)])[y]
-    slope, intercept = fit_logistic(x, y, weight * len(y) / weight.sum())
-    return Model(token, decay, rate, slope, intercept)
+    weight = weight * len(y) / weight.sum()
+    slope = max(fit_logistic(x, y, weight)[0], 1e-3)
+    return Model(token, decay, rate, slope, -slope * best_cut(x, y, weight))
 
 
 def _score(model):

@@ -282,6 +282,13 @@ def test_logistic_fit_on_separable_and_overlapping_scores():
     assert toxicity.fit_logistic(np.zeros(10), np.repeat([0, 1], 5), np.ones(10)) == (0.0, pytest.approx(0.0, abs=1e-6))
 
 
+def test_cut_is_not_moved_by_texts_without_passages():
+    import numpy as np
+
+    x, y = np.array([0.0] * 90 + [2.0, 3.0] + [0.0] * 3 + [8.0] * 20), np.array([0] * 92 + [1] * 23)
+    assert 3 < toxicity.best_cut(x, y, np.ones(len(x))) < 8
+
+
 def test_maximal_segments():
     import random
 
