@@ -8,9 +8,10 @@
 3. Scores: Spark iterates over the graph. A pattern's confidence is the count-weighted mean
    confidence of its instances, shrunk towards zero by a prior; an instance's confidence is its
    patterns' count-weighted mean. Seeds stay at one.
-4. Discovery: patterns of confidence ``CONFIDENT`` or more whose share of their kind's occurrences is
-   at least ``1 / SHARE`` (so at most 2 * SHARE a kind, a proven bound, go to the tasks) mark candidates
-   that they precede as identifiers. Base spans all stay.
+4. Discovery: all patterns of confidence ``CONFIDENT`` or more mark candidates that they precede as
+   identifiers; rare patterns are held back by the prior alone. Base spans all stay. The patterns go to the
+   tasks where their checked size is at most ``PATTERN_BYTES``; beyond it the candidates' contexts are joined
+   to them, with the same spans.
 
 Texts are read twice and never shuffled; only edges are.
 
@@ -32,7 +33,9 @@ from .runtime import materialise, table
 
 KINDS = ("email", "ip", "card", "phone")
 ROUNDS = 4
-SHARE = 500
+PATTERN_BYTES = 32_000_000  # of confident patterns that may go to every task
+PATTERN_COST = 150  # bytes of one pattern besides its characters
+SALTS = 16
 CONFIDENT = 0.7
 PRIOR = 3.0
 
@@ -148,14 +151,16 @@ def score_patterns(edges: DataFrame, rounds: int = ROUNDS) -> DataFrame:
     return patterns
 
 
-def confident_patterns(docs: DataFrame, rounds: int = ROUNDS) -> dict[int, set[str]]:
-    """The patterns good enough to discover identifiers, by kind; their number is bounded by the share."""
+def confident_patterns(docs: DataFrame, rounds: int = ROUNDS) -> DataFrame:
+    """(kind, pattern) of every pattern good enough to discover identifiers."""
     edges = materialise(docs.select("text").mapInArrow(_edges, "kind int, pattern string, instance string, seed boolean").groupBy("kind", "pattern", "instance").agg(F.max("seed").alias("seed"), F.count("*").alias("n")), "edges")
-    totals = edges.groupBy("kind").agg(F.sum("n").alias("total"))
-    scored = score_patterns(edges, rounds).join(F.broadcast(totals), "kind")
-    good = scored.filter((F.col("confidence") >= CONFIDENT) & (F.col("n") * SHARE >= F.col("total"))).select("kind", "pattern").collect()
+    return materialise(score_patterns(edges, rounds).filter(F.col("confidence") >= CONFIDENT).select("kind", "pattern"), "confident")
+
+
+def _by_kind(patterns: DataFrame) -> dict[int, set[str]]:
+    """Patterns as sets; only for sizes that were checked."""
     out: dict[int, set[str]] = {}
-    for r in good:
+    for r in patterns.collect():
         out.setdefault(r.kind, set()).add(r.pattern)
     return out
 
@@ -187,11 +192,54 @@ def _extract(patterns):
     return run
 
 
-def extract(docs: DataFrame, patterns: dict[int, set[str]] | None = None) -> DataFrame:
+ROWS = "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string"
+SPANS = "array<struct<start:int,kind:int,end:int>>"
+
+
+def _candidates(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Each row's number, its base results, its base spans and its candidates with their contexts."""
+    fields = [("start", pa.int32()), ("kind", pa.int32()), ("end", pa.int32())]
+    span, seen = pa.list_(pa.struct(fields)), pa.list_(pa.struct([*fields, ("patterns", pa.list_(pa.string()))]))
+    for batch in batches:
+        counts: list[list[int]] = [[], [], [], []]
+        digests, found, loose = [], [], []
+        for text in batch.column("text").to_pylist():
+            text = text or ""
+            base = base_spans(text)
+            for k in range(4):
+                counts[k].append(sum(s[1] == k for s in base))
+            digests.append(hashlib.sha256(_joined(base).encode()).hexdigest())
+            found.append([{"start": a, "kind": k, "end": b} for a, k, b in base])
+            loose.append([{"start": a, "kind": k, "end": b, "patterns": contexts(text, a, b)} for a, k, b in candidate_spans(text, base)])
+        yield pa.RecordBatch.from_arrays([batch.column("row_id"), batch.column("doc_id"), *[pa.array(c, pa.int64()) for c in counts], pa.array(digests, pa.string()), pa.array(found, span), pa.array(loose, seen)], names=["row_id", "doc_id", *[f"n_{k}" for k in KINDS], "base_sha256", "base", "loose"])
+
+
+def _extract_by_join(docs: DataFrame, patterns: DataFrame) -> DataFrame:
+    """As with broadcast patterns, for any number of them: candidates meet patterns by (kind, pattern, salt).
+
+    Contexts of one wording are dealt over ``SALTS`` tasks, so a frequent one is not one task's work.
+    """
+    rows = docs.select(F.monotonically_increasing_id().alias("row_id"), F.col("doc_id").cast("long").alias("doc_id"), "text")
+    rows = materialise(rows.mapInArrow(_candidates, f"row_id long, {ROWS}, base {SPANS}, loose array<struct<start:int,kind:int,end:int,patterns:array<string>>>"), "candidates")
+    at = rows.select("row_id", F.explode("loose").alias("c")).select("row_id", "c.start", "c.kind", "c.end", F.explode("c.patterns").alias("pattern")).withColumn("salt", F.pmod("row_id", F.lit(SALTS)).cast("int"))
+    salted = patterns.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    hits = at.join(salted, ["kind", "pattern", "salt"], "left_semi").groupBy("row_id").agg(F.collect_set(F.struct("start", "kind", "end")).alias("found"))
+    spans = F.array_sort(F.concat("base", F.coalesce("found", F.array().cast(SPANS))))
+    name = F.array(*[F.lit(k) for k in KINDS])
+    text = F.array_join(F.transform(spans, lambda s: F.concat_ws(":", F.get(name, s["kind"]), s["start"].cast("string"), s["end"].cast("string"))), ",")
+    return rows.join(hits, "row_id", "left").select("doc_id", *[f"n_{k}" for k in KINDS], "base_sha256", text.alias("spans"))
+
+
+def extract(docs: DataFrame, patterns: dict[int, set[str]] | None = None, pattern_bytes: int = PATTERN_BYTES) -> DataFrame:
     """One row per row of ``docs``: counts of base identifiers, their digest, and all spans."""
-    patterns = confident_patterns(docs) if patterns is None else patterns
+    if patterns is None:
+        good = confident_patterns(docs)
+        size = good.agg(F.sum(F.octet_length("pattern") + PATTERN_COST)).first()[0] or 0
+        if size > pattern_bytes:
+            return _extract_by_join(docs, good)
+        patterns = _by_kind(good)
     sent = docs.sparkSession.sparkContext.broadcast(patterns)
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_extract(sent), "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_extract(sent), f"{ROWS}, spans string")
 
 
 def op1_pii(spark: SparkSession, sf_dir: str) -> DataFrame:

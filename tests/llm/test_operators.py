@@ -203,6 +203,17 @@ def test_pii_discovers_by_context(spark):
     assert got[100] == "email:16:40" and got[101] == "" and got[0] == "email:16:39"
 
 
+def test_pii_keeps_confident_patterns_among_many_others(spark, odd, empty):
+    seeds = [(i, f"please write to user{i}@corp.org today") for i in range(40)]
+    others = [(1000 + i, f"the archive lists visitor{i}@site.net here") for i in range(10_400)]
+    df = spark.createDataFrame([*seeds, (500, "please write to jane (at) corp (dot) org"), *others], "doc_id long, text string")
+    spans = {r.doc_id: r.spans for r in pii.extract(df).collect()}
+    assert spans[500] == "email:16:40"
+    for rows in (df, odd, empty):
+        assert ordered(pii.extract(rows, pattern_bytes=-1)) == ordered(pii.extract(rows))
+
+
+
 def brute_secrets(text):
     return sorted((m.start(), k, m.end(), r.kind) for k, r in enumerate(secrets.RULES) for m in re.finditer(r.pattern, text) if len(m.group(r.group)) >= r.least)
 
