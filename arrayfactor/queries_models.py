@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 import time
 
 import numpy as np
@@ -16,6 +17,7 @@ from .sources.tables import checkpointed
 from .streaming import events as st
 
 QUERIES: dict = {}
+SHARDS = 24  # of the passes over a whole array
 HISTORY = "method string, round int, bound double, delta_norm double, rows_touched long, subarrays long, seconds double"
 
 
@@ -43,8 +45,15 @@ def draw_plan(arr: DataFrame, sizes: list[int], how: str, count: int, sides: lis
     return sampling.sample_grid(arr.sparkSession, sizes, sides, max(1, round(count / cubes)), seed)
 
 
-def fitted(arr: DataFrame, sizes: list[int], how: str, p: train.TrainParams, count: int = 24, sides: tuple[int, ...] = (12, 12, 12), shards: int = 3, **options) -> train.Model:
+def covering(sides: list[int], sizes: list[int]) -> int:
+    """Subarrays that together have as many cells as the array."""
+    return sampling.subarrays_for_coverage(sides, math.prod(sizes))
+
+
+def fitted(arr: DataFrame, sizes: list[int], how: str, p: train.TrainParams, count: int | None = 24, sides: tuple[int, ...] = (12, 12, 12), shards: int = 3, **options) -> train.Model:
+    """A model trained on ``count`` subarrays, or on as many as visit each cell once on average."""
     sides = [min(s, m) for s, m in zip(sides, sizes, strict=True)]
+    count = covering(sides, sizes) if count is None else count
     plan = checkpointed(draw_plan(arr, sizes, how, count, list(sides)), "plan")
     return train.fit(sampling.blocks(arr, plan, sides, shards), sizes, p, shards, **options)
 
@@ -54,7 +63,7 @@ def _history(spark: SparkSession, models: dict[str, train.Model]) -> DataFrame:
     return spark.createDataFrame(rows, HISTORY)
 
 
-def _triples(spark: SparkSession, sf: str, top: int = 60) -> tuple[DataFrame, list[int]]:
+def _triples(spark: SparkSession, sf: str, top: int = w.TOP) -> tuple[DataFrame, list[int]]:
     arr = checkpointed(w.encoded_triples(spark, sf, top=top), "triples")
     return arr, w.sizes_of(arr)
 
@@ -64,13 +73,13 @@ for _how in ("uniform", "weighted", "grid"):
     @query(f"train_{_how}")
     def train_query(spark: SparkSession, sf: str, how: str = _how) -> DataFrame:
         arr, sizes = _triples(spark, sf)
-        return _history(spark, {how: fitted(arr, sizes, how, small_params(), sides=(20, 20, 20))})
+        return _history(spark, {how: fitted(arr, sizes, how, small_params(), count=None, sides=(20, 20, 20), shards=SHARDS)})
 
 
 @query("train_lbfgs")
 def train_lbfgs(spark: SparkSession, sf: str) -> DataFrame:
-    arr, sizes = _triples(spark, sf, 30)
-    return _history(spark, {o: fitted(arr, sizes, "uniform", small_params(optimizer=o, rounds=2), count=12) for o in ("sgd", "lbfgs")})
+    arr, sizes = _triples(spark, sf)
+    return _history(spark, {o: fitted(arr, sizes, "uniform", small_params(optimizer=o, rounds=2), count=None, sides=(20, 20, 20), shards=SHARDS) for o in ("sgd", "lbfgs")})
 
 
 def _trade(spark: SparkSession, sf: str, value: str) -> tuple[DataFrame, list[int]]:
@@ -111,24 +120,24 @@ def _held(arr: DataFrame, sizes: list[int], seed: int = 4, zero_share: float = 0
 
 @query("predict_bagged")
 def predict_bagged(spark: SparkSession, sf: str) -> DataFrame:
-    arr, sizes = _triples(spark, sf, 40)
+    arr, sizes = _triples(spark, sf)
     known, test = _held(arr, sizes)
-    model = fitted(known, sizes, "weighted", small_params(), sides=(20, 20, 20))
+    model = fitted(known, sizes, "weighted", small_params(), count=None, sides=(20, 20, 20), shards=SHARDS)
     bags = checkpointed(draw_plan(known, sizes, "uniform", 4, [20, 20, 20], seed=77), "bags")
     return predict.predict(model, known, test, bags, [min(20, m) for m in sizes])
 
 
 @query("predict_containing")
 def predict_containing(spark: SparkSession, sf: str) -> DataFrame:
-    arr, sizes = _triples(spark, sf, 30)
+    arr, sizes = _triples(spark, sf)
     known, test = _held(arr, sizes)
-    model = fitted(known, sizes, "weighted", small_params(rounds=2), count=12)
+    model = fitted(known, sizes, "weighted", small_params(rounds=2), count=None, shards=SHARDS)
     sides = [min(10, m) for m in sizes]
     bags = checkpointed(draw_plan(known, sizes, "uniform", 2, sides, seed=77), "bags")
     return predict.predict_containing(model, known, test, bags, sides)
 
 
-def compared(spark: SparkSession, name: str, arr: DataFrame, sizes: list[int], sides: list[int], rank: int = 3, rounds: int = 5, count: int = 40, bags: int = 6, multilinear: bool = True, kernel: Kernel | None = None) -> list[tuple]:
+def compared(spark: SparkSession, name: str, arr: DataFrame, sizes: list[int], sides: list[int], rank: int = 3, rounds: int = 5, count: int | None = 40, bags: int = 6, multilinear: bool = True, kernel: Kernel | None = None) -> list[tuple]:
     """(workload, method, auc, seconds) of every method on one held-out fold."""
     known, test = _held(arr, sizes)
     sides = [min(s, m) for s, m in zip(sides, sizes, strict=True)]
@@ -144,7 +153,7 @@ def compared(spark: SparkSession, name: str, arr: DataFrame, sizes: list[int], s
     for how in ("uniform", "weighted", "grid"):
         began = time.time()
         p = train.TrainParams(ranks=(rank,) * modes, rounds=rounds, rate=0.1, kernel=kernel, sweeps=8)
-        model = fitted(known, sizes, how, p, count=count, sides=tuple(sides))
+        model = fitted(known, sizes, how, p, count=count, sides=tuple(sides), shards=SHARDS if count is None else 3)
         plan = checkpointed(draw_plan(known, sizes, "uniform", bags, sides, seed=77), "bags")
         note(f"local-gp-{how}", began, checkpointed(predict.predict(model, known, test, plan, sides).withColumnRenamed("mean", "score"), "scored"))
     cells = test.withColumnRenamed("y", "label")
@@ -192,8 +201,8 @@ def aucs_linear_twin(spark: SparkSession, sf: str) -> DataFrame:
 @query("aucs_triples")
 def aucs_triples(spark: SparkSession, sf: str) -> DataFrame:
     """The text triples: the method's three samplings against the sparse distributed baseline."""
-    arr, sizes = _triples(spark, sf, 60)
-    return spark.createDataFrame(compared(spark, "triples", arr, sizes, [24, 24, 24], multilinear=False, kernel=Kernel("matern32", scale=1.5)), AUCS)
+    arr, sizes = _triples(spark, sf)
+    return spark.createDataFrame(compared(spark, "triples", arr, sizes, [24, 24, 24], count=None, multilinear=False, kernel=Kernel("matern32", scale=1.5)), AUCS)
 
 
 def _fit_rows(spark: SparkSession, factors: DataFrame) -> DataFrame:
@@ -202,25 +211,25 @@ def _fit_rows(spark: SparkSession, factors: DataFrame) -> DataFrame:
 
 @query("cp_sweep")
 def cp_sweep(spark: SparkSession, sf: str) -> DataFrame:
-    arr, sizes = _triples(spark, sf, 40)
+    arr, sizes = _triples(spark, sf)
     return _fit_rows(spark, baselines.cp_als(arr, sizes, 3, 1))
 
 
 @query("cp_nonneg_sweep")
 def cp_nonneg_sweep(spark: SparkSession, sf: str) -> DataFrame:
-    arr, sizes = _triples(spark, sf, 40)
+    arr, sizes = _triples(spark, sf)
     return _fit_rows(spark, baselines.cp_nonneg(arr, sizes, 3, 1))
 
 
 @query("hosvd")
 def hosvd(spark: SparkSession, sf: str) -> DataFrame:
-    arr, sizes = _triples(spark, sf, 40)
+    arr, sizes = _triples(spark, sf)
     return _fit_rows(spark, baselines.hosvd(arr, sizes, [3, 3, 3])[0])
 
 
 @query("tucker_sweep")
 def tucker_sweep(spark: SparkSession, sf: str) -> DataFrame:
-    arr, sizes = _triples(spark, sf, 40)
+    arr, sizes = _triples(spark, sf)
     return _fit_rows(spark, baselines.tucker_als(arr, sizes, [3, 3, 3], 1)[0])
 
 
@@ -242,10 +251,10 @@ def sgd_cp(spark: SparkSession, sf: str) -> DataFrame:
 @query("tradeoff")
 def tradeoff(spark: SparkSession, sf: str) -> DataFrame:
     """Training time against subarray size at equal trained cells."""
-    arr, sizes = _triples(spark, sf, 60)
+    arr, sizes = _triples(spark, sf)
     rows = []
     for side in (10, 20, 40):
-        count = cost.same_work([side] * 3, 64_000 * 4)
+        count = cost.same_work([side] * 3, math.prod(sizes))
         began = time.time()
         plan = checkpointed(draw_plan(arr, sizes, "uniform", count, [side] * 3), "plan")
         cut = checkpointed(sampling.blocks(arr, plan, [min(side, m) for m in sizes], 4), "blocks")
@@ -352,7 +361,7 @@ def st_score(spark: SparkSession, sf: str) -> DataFrame:
 @query("explore_nonzero_boxes")
 def explore_nonzero_boxes(spark: SparkSession, sf: str) -> DataFrame:
     """The rejected strategy: boxes around sampled nonzeros; their sizes differ, which is why it is not used."""
-    arr, _ = _triples(spark, sf, 40)
+    arr, _ = _triples(spark, sf)
     from pyspark.sql import Window
 
     from .functions.hashing import keyed, uniform

@@ -9,6 +9,7 @@ from .functions.hashing import keyed, uniform
 from .operators import arrays
 from .sources.tables import checkpointed, table
 
+TOP = 200  # words of the text triples; the functions take any other number, up to the 20,000 of the reference
 TOKEN = "[^a-zà-öø-ÿœæ]+"
 
 
@@ -22,7 +23,7 @@ def top_tokens(words: DataFrame, n: int) -> DataFrame:
     return words.select(F.explode("w").alias("t")).groupBy("t").agg(F.count("*").alias("c")).orderBy(F.desc("c"), "t").limit(n).select("t")
 
 
-def triple_counts(spark: SparkSession, sf_dir: str, top: int = 200, quality: bool = False) -> DataFrame:
+def triple_counts(spark: SparkSession, sf_dir: str, top: int = TOP, quality: bool = False) -> DataFrame:
     """Counts of three words in a row, all among the most frequent: subject, verb and object of a text fact."""
     docs = table(spark, sf_dir, "documents").select("doc_id", tokens(F.col("text")).alias("w"))
     frequent = top_tokens(docs, top)
@@ -57,7 +58,7 @@ def stored_log(spark: SparkSession, sf_dir: str) -> DataFrame:
     return checkpointed(encoded_log(spark, sf_dir), "log")
 
 
-def encoded_triples(spark: SparkSession, sf_dir: str, top: int = 200, least: int = 1) -> DataFrame:
+def encoded_triples(spark: SparkSession, sf_dir: str, top: int = TOP, least: int = 1) -> DataFrame:
     """Triples with one shared word dictionary in every mode, indices by frequency rank."""
     docs = table(spark, sf_dir, "documents").select(tokens(F.col("text")).alias("w"))
     counted = docs.select(F.explode("w").alias("t")).groupBy("t").agg(F.count("*").alias("c")).orderBy(F.desc("c"), "t").limit(top)

@@ -160,3 +160,26 @@ def test_position_overflow_is_decimal(spark):
 def test_kernel_choice_runs(cut):
     for kind in ("linear", "poly", "matern52"):
         assert train.fit(cut, [12, 12, 12], q.small_params(rounds=1, kernel=Kernel(kind, gamma=0.3)), 3).history[0]["bound"] < 0
+
+
+@pytest.mark.parametrize("key", ["train_uniform", "train_weighted", "train_grid", "train_lbfgs", "predict_bagged", "predict_containing", "aucs_triples", "cp_sweep", "cp_nonneg_sweep", "hosvd", "tucker_sweep", "tradeoff", "explore_nonzero_boxes"])
+def test_triple_queries_take_the_whole_workload(spark, monkeypatch, key):
+    class Reached(Exception):
+        pass
+
+    def encoded(spark, sf, top=200, least=1):
+        raise Reached(top, least)
+
+    monkeypatch.setattr(w, "encoded_triples", encoded)
+    with pytest.raises(Reached) as got:
+        q.QUERIES[key](spark, "/root/testdata/sf0.001")
+    assert got.value.args == (200, 1)
+
+
+def test_triples_are_trained_to_coverage_one(spark, monkeypatch):
+    counts = []
+    monkeypatch.setattr(q, "draw_plan", lambda arr, sizes, how, count, sides, seed=9: counts.append((count, sizes, sides)) or (_ for _ in ()).throw(StopIteration))
+    with pytest.raises(StopIteration):
+        q.QUERIES["train_weighted"](spark, "/root/testdata/sf0.001")
+    count, sizes, sides = counts[0]
+    assert count * np.prod(sides) >= np.prod(sizes)
