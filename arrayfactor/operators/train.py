@@ -220,6 +220,9 @@ def fit(blocks: DataFrame, array_sizes: Sequence[int], p: TrainParams, shards: i
     spark = blocks.sparkSession
     blocks = checkpointed(blocks, "blocks")
     factors = checkpointed(init if init is not None else initial_factors(spark, array_sizes, p), "factors")
+    visited = F.aggregate("sets", F.lit(1.0), lambda n, s: n * F.size(s))
+    share = float(blocks.agg(F.sum(visited)).first()[0] or 0.0) / float(np.prod(array_sizes, dtype=float))
+    every = blocks.count()
     history = []
     for round_ in range(1, p.rounds + 1):
         began = time.time()
@@ -227,7 +230,7 @@ def fit(blocks: DataFrame, array_sizes: Sequence[int], p: TrainParams, shards: i
         told = deltas.groupBy("shard").agg(F.first("bound").alias("bound"), F.first("subarrays").alias("subarrays"), F.count("*").alias("rows"), F.sqrt(F.sum(F.aggregate("delta", F.lit(0.0), lambda a, v: a + v * v))).alias("norm")).agg(F.sum("bound").alias("bound"), F.sum("subarrays").alias("subarrays"), F.sum("rows").alias("rows"), F.avg("norm").alias("norm")).first()
         scale = p.laplace_scale * p.variance / shards
         factors = checkpointed(merge_factors(factors, deltas, shards, p.merge, scale), "factors")
-        history.append({"round": round_, "bound": float((told.bound or 0.0) / max(told.subarrays or 1, 1)), "rows_touched": int(told.rows or 0), "subarrays": int(told.subarrays or 0), "delta_norm": float(told.norm or 0.0), "seconds": time.time() - began})
+        history.append({"round": round_, "bound": float((told.bound or 0.0) / max(told.subarrays or 1, 1)), "rows_touched": int(told.rows or 0), "subarrays": int(told.subarrays or 0), "coverage": share * int(told.subarrays or 0) / max(every, 1), "delta_norm": float(told.norm or 0.0), "seconds": time.time() - began})
     return Model(factors, history, p, tuple(array_sizes))
 
 

@@ -18,7 +18,7 @@ from .streaming import events as st
 
 QUERIES: dict = {}
 SHARDS = 24  # of the passes over a whole array
-HISTORY = "method string, round int, bound double, delta_norm double, rows_touched long, subarrays long, seconds double"
+HISTORY = "method string, round int, bound double, delta_norm double, rows_touched long, subarrays long, coverage double, seconds double"
 
 
 def query(key: str):
@@ -59,7 +59,7 @@ def fitted(arr: DataFrame, sizes: list[int], how: str, p: train.TrainParams, cou
 
 
 def _history(spark: SparkSession, models: dict[str, train.Model]) -> DataFrame:
-    rows = [(name, h["round"], h["bound"], h["delta_norm"], h["rows_touched"], h["subarrays"], h["seconds"]) for name, m in models.items() for h in m.history]
+    rows = [(name, h["round"], h["bound"], h["delta_norm"], h["rows_touched"], h["subarrays"], h["coverage"], h["seconds"]) for name, m in models.items() for h in m.history]
     return spark.createDataFrame(rows, HISTORY)
 
 
@@ -94,13 +94,13 @@ def _trade(spark: SparkSession, sf: str, value: str) -> tuple[DataFrame, list[in
 @query("train_gaussian")
 def train_gaussian(spark: SparkSession, sf: str) -> DataFrame:
     arr, sizes = _trade(spark, sf, "sum")
-    return _history(spark, {"continuous": fitted(arr, sizes, "uniform", small_params(likelihood="continuous", rounds=2), count=12)})
+    return _history(spark, {"continuous": fitted(arr, sizes, "uniform", small_params(likelihood="continuous", rounds=2), count=None)})
 
 
 @query("train_count")
 def train_count(spark: SparkSession, sf: str) -> DataFrame:
     arr, sizes = _trade(spark, sf, "count")
-    return _history(spark, {"count": fitted(arr, sizes, "uniform", small_params(likelihood="count", rounds=2), count=12)})
+    return _history(spark, {"count": fitted(arr, sizes, "uniform", small_params(likelihood="count", rounds=2), count=None)})
 
 
 @query("bound_history")
@@ -332,7 +332,7 @@ def train_4way(spark: SparkSession, sf: str) -> DataFrame:
     modes = ["c_nationkey", "p_brand", "p_type", "s_nationkey"]
     arr = arrays.build_array(w.nation_records(spark, sf), modes)
     arr = checkpointed(arrays.encode(arr, arrays.mode_dictionary(arr, modes), modes), "trade4")
-    return _history(spark, {"4way": fitted(arr, w.sizes_of(arr), "weighted", small_params(ranks=(3, 3, 3, 3), rounds=2), count=12, sides=(6, 6, 6, 6))})
+    return _history(spark, {"4way": fitted(arr, w.sizes_of(arr), "weighted", small_params(ranks=(3, 3, 3, 3), rounds=2), count=None, sides=(6, 6, 6, 6), shards=SHARDS)})
 
 
 @query("repeated_runs")

@@ -183,3 +183,8 @@ def test_triples_are_trained_to_coverage_one(spark, monkeypatch):
         q.QUERIES["train_weighted"](spark, "/root/testdata/sf0.001")
     count, sizes, sides = counts[0]
     assert count * np.prod(sides) >= np.prod(sizes)
+
+
+def test_coverage_is_told(spark, cube):
+    model = q.fitted(cube, [12] * 3, "uniform", q.small_params(rounds=1), count=None, sides=(5, 5, 5))
+    assert 1 <= model.history[0]["coverage"] < 1.1
