@@ -79,7 +79,7 @@ for _how in ("uniform", "weighted", "grid"):
 @query("train_lbfgs")
 def train_lbfgs(spark: SparkSession, sf: str) -> DataFrame:
     arr, sizes = _triples(spark, sf)
-    return _history(spark, {o: fitted(arr, sizes, "uniform", small_params(optimizer=o, rounds=2), count=None, sides=(20, 20, 20), shards=SHARDS) for o in ("sgd", "lbfgs")})
+    return _history(spark, {o: fitted(arr, sizes, "uniform", small_params(optimizer=o, rounds=2), count=None, shards=SHARDS) for o in ("sgd", "lbfgs")})
 
 
 def _trade(spark: SparkSession, sf: str, value: str) -> tuple[DataFrame, list[int]]:
