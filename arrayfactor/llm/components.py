@@ -8,10 +8,24 @@ from pyspark.sql import functions as F
 from .runtime import materialise, release
 
 
+SALTS = 256
+
+
+def attach_min(rows: DataFrame, by: str, value: str, name: str) -> DataFrame:
+    """``rows`` with ``name``, the least ``value`` of all rows that are equal in ``by``; splittable steps, no gathered lists.
+
+    The minimum comes to a key's rows in ``SALTS`` portions at most, each with its own part of them, so
+    that the rows of any key, however frequent, are dealt over many tasks.
+    """
+    salted = rows.withColumn("salt", F.pmod(F.xxhash64(value), F.lit(SALTS)).cast("int"))
+    parts = salted.groupBy(by, "salt").agg(F.min(value).alias("part"))
+    portions = parts.select(by, "salt").join(parts.groupBy(by).agg(F.min("part").alias(name)), by)
+    return salted.join(portions, [by, "salt"]).select(*rows.columns, name)
+
+
 def _attach_least(pairs: DataFrame) -> DataFrame:
-    """Each (u, v) with the least node m among u and all its v; two splittable steps, no gathered lists."""
-    least = pairs.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-    return pairs.join(least, "u")
+    """Each (u, v) with the least node m among u and all its v."""
+    return attach_min(pairs, "u", "v", "least").select("u", "v", F.least("u", "least").alias("m"))
 
 
 def components(edges: DataFrame, label: str = "components") -> DataFrame:
