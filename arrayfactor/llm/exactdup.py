@@ -1,22 +1,27 @@
 """Exact duplicates by a tree merge of sorted digest runs, with DataFrame operators only.
 
-Rows are dealt to ``2 ** rounds`` runs. A run is a sorted list of distinct fingerprints, each with
-the identifier it would keep, its row count and the check values. In every round run r meets run
-r + half: the two runs' equal fingerprints are merged, so that after the last round one run, split
-over all tasks by fingerprint, is left. The merge is a grouped aggregate; Spark combines on the
-map side first, so a text that a third of all rows share is one record per task and run before
-anything is moved. Order inside a run is by fingerprint; where Spark's hash aggregate makes the
-physical sort unnecessary, it leaves it out.
-
-A fingerprint is the SHA-256 of the text; it is verified at every level by the text's length and
-a second, independent hash, which are part of the merge key: records that differ in any of them
-never merge. The result joins rows to survivors by fingerprint; that join may be split by Spark
-where one fingerprint is very frequent.
+1. Runs: rows are dealt to ``2 ** rounds`` runs. Each task sorts its digests and merges equal
+   neighbours in one stream, before anything is moved: a text that a third of all rows share leaves
+   every task as one record a run. A record is a digest with its check values, the identifier that
+   would stay (with the run it came from), and its row count.
+2. Rounds: in every round run r meets run r + half. The two runs are brought together by digest,
+   sorted, and merged in one stream: of equal neighbours one record stays, with the better identifier
+   and the sum of the counts. After the last round one run, split over all tasks by digest, is left.
+
+The record that stays is an ordered pair, which Spark aggregates by sorting: every level of the
+plan is a Sort and a SortAggregate on both sides of an exchange, which spill to disk and hold one
+group at a time.
+
+A digest is the SHA-256 of the text; it is verified at every level by the text's length and a
+second, independent hash, which are part of the merge key: records that differ in any of them never
+merge. The result joins rows to survivors by digest; that join may be split by Spark where one
+digest is very frequent.
 
 Defined results: null counts as empty text; rows that repeat both id and text are one another's
 copies and all of them carry the surviving id, so all are marked kept (``surviving_rows`` leaves
-one); among rows without an id the group keeps a null id only if no row has one (``surviving_rows``
-keeps rows without an id, since no id tells them apart); extra columns are ignored.
+one); a group keeps a null id only if no row has another, and then ``surviving_rows`` leaves one row;
+one id on several texts is judged text by text; an empty table gives an empty result; extra columns
+are ignored.
 """
 
 from __future__ import annotations
@@ -24,7 +29,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .runtime import materialise, table, without
+from .runtime import materialise, one_of_each, table
 
 ROUNDS = 3
 KEY = ["digest", "n_bytes", "check"]
@@ -36,37 +41,36 @@ def fingerprints(docs: DataFrame, normalised: Column | None = None) -> DataFrame
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.unhex(F.sha2(text, 256)), F.lit(b"")).alias("digest"), F.octet_length(text).alias("n_bytes"), F.xxhash64(text).alias("check"))
 
 
+def _merged(run: DataFrame, keep: str) -> DataFrame:
+    """Sorted neighbours with equal digests of a run become one record."""
+    pick = {"least": F.min, "largest": F.max}[keep]
+    return run.groupBy(*KEY, "run").agg(pick("stays").alias("stays"), F.sum("rows").alias("rows"))
+
+
 def merge_runs(prints: DataFrame, keep: str = "least", rounds: int = ROUNDS) -> DataFrame:
     """(digest, n_bytes, check, keep_id, group_size): the last run of the tree."""
-    pick = {"least": F.min, "largest": F.max}[keep]
     run = F.pmod(F.xxhash64("doc_id"), F.lit(1 << rounds))
-    level = prints.groupBy(*KEY, run.alias("run")).agg(pick("doc_id").alias("keep_id"), F.count("*").alias("group_size"))
+    stays = F.when(F.col("doc_id").isNotNull(), F.struct(F.col("doc_id").alias("id"), run.alias("origin")))
+    level = _merged(prints.select(*KEY, run.alias("run"), stays.alias("stays"), F.lit(1).cast("long").alias("rows")), keep)
     for r in reversed(range(rounds)):
-        meets = F.pmod("run", F.lit(1 << r))
-        level = level.groupBy(*KEY, meets.alias("run")).agg(pick("keep_id").alias("keep_id"), F.sum("group_size").alias("group_size")).sortWithinPartitions(*KEY)
-    return level.drop("run")
+        level = _merged(level.withColumn("run", F.pmod("run", F.lit(1 << r))), keep)
+    return level.select(*KEY, F.col("stays.id").alias("keep_id"), F.col("rows").alias("group_size"))
 
 
-def exact_duplicates(docs: DataFrame, keep: str = "least", rounds: int = ROUNDS, normalised: Column | None = None) -> DataFrame:
-    """One row per row of ``docs``: doc_id, keep_id, group_size, kept, text_sha256."""
+def _judged(docs: DataFrame, keep: str, rounds: int, normalised: Column | None = None) -> DataFrame:
     prints = fingerprints(docs, normalised)
     joined = prints.join(merge_runs(prints, keep, rounds), KEY)
-    return joined.select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), F.lower(F.hex("digest")).alias("text_sha256"))
+    return joined.select("doc_id", "digest", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"))
+
+
+def exact_duplicates(docs: DataFrame, keep: str = "least", rounds: int = ROUNDS, normalised: Column | None = None) -> DataFrame:
+    """One row per row of ``docs``: doc_id, keep_id, group_size, kept, text_sha256."""
+    return _judged(docs, keep, rounds, normalised).select("doc_id", "keep_id", "group_size", "kept", F.lower(F.hex("digest")).alias("text_sha256"))
 
 
 def surviving_rows(docs: DataFrame, keep: str = "least", rounds: int = ROUNDS) -> DataFrame:
-    """The rows of ``docs`` that stay: one of each group of equal texts, all columns.
-
-    A group's other ids are the ones that go; where rows repeat the surviving id itself, the
-    rows of such ids alone are reduced to one.
-    """
-    judged = materialise(exact_duplicates(docs, keep, rounds), "judged")
-    rest = without(docs, judged.filter(~F.col("kept")))
-    repeated = judged.filter("kept and doc_id is not null").groupBy("doc_id").count().filter("count > 1").select("doc_id")
-    if not repeated.limit(1).count():
-        return rest
-    again = rest.join(repeated, "doc_id", "left_semi").select(*docs.columns).dropDuplicates(["doc_id", "text"])
-    return without(rest, repeated).unionByName(again)
+    """The rows of ``docs`` that stay, all columns: one of each group of equal texts."""
+    return one_of_each(docs, materialise(_judged(docs, keep, rounds).select("doc_id", "digest", "kept"), "judged"))
 
 
 def op3_exactdup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -19,9 +19,13 @@ hash; texts that agree on a longer prefix stand closer together.
 A pair at similarity s shares no region with probability (1 - s^3)^20: 6e-7 at 0.8, and the
 signature test then loses about 1e-6. Links are confirmed on full sets, so none is false.
 
+Nodes have numbers of their own, so ids play no part but in naming components and survivors.
+
 Defined results: null or empty text has no shingles, is linked with nothing and is kept; a text
-of fewer words than a shingle is one shingle; rows that repeat an id and text share the result; a
-null id gets a null component and is kept; extra columns are ignored.
+of fewer words than a shingle is one shingle; rows that repeat an id and text share the result; an
+id that stands on several texts is a node for each set, and each row has the component of its own
+text; a null id links nothing, gets a null component and is kept; an empty table gives an empty
+result; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -33,8 +37,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .components import components
-from .runtime import materialise, release, table, without
+from .components import attach_min, components
+from .runtime import materialise, one_of_each, release, table, text_digest
 from .textcore import U64, chunks, find_words, mix64, ngrams, stream
 
 STEP, TREES, DEPTH = 3, 20, 8
@@ -70,17 +74,25 @@ def signature(grams: np.ndarray) -> np.ndarray:
     return low
 
 
+def set_sums(grams: np.ndarray) -> tuple[int, int]:
+    """Two independent sums over a set; with its size they stand for it."""
+    if not len(grams):
+        return 0, 0
+    with np.errstate(over="ignore"):
+        return int(mix64(grams + U64(7)).sum().view(np.int64)), int(np.bitwise_xor.reduce(mix64(grams ^ U64(0x5555))).view(np.int64))
+
+
 def _signatures(size: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             n, one, two, sigs = [], [], [], []
             for grams in shingle_sets(batch.column("text"), size):
                 n.append(len(grams))
-                with np.errstate(over="ignore"):
-                    one.append(int(mix64(grams + U64(7)).sum().view(np.int64)) if len(grams) else 0)
-                    two.append(int(np.bitwise_xor.reduce(mix64(grams ^ U64(0x5555))).view(np.int64)) if len(grams) else 0)
+                a, b = set_sums(grams)
+                one.append(a)
+                two.append(b)
                 sigs.append(signature(grams).astype(">u4").tobytes() if len(grams) else None)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(one, pa.int64()), pa.array(two, pa.int64()), pa.array(sigs, pa.binary())], names=["doc_id", "n_shingles", "set_a", "set_b", "sig"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("digest"), pa.array(n, pa.int64()), pa.array(one, pa.int64()), pa.array(two, pa.int64()), pa.array(sigs, pa.binary())], names=["doc_id", "digest", "n_shingles", "set_a", "set_b", "sig"])
 
     return run
 
@@ -88,7 +100,10 @@ def _signatures(size: int):
 def _sets(size: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([g.tobytes() for g in shingle_sets(batch.column("text"), size)], pa.binary())], names=["node", "grams"])
+            a, b = batch.column("set_a").to_pylist(), batch.column("set_b").to_pylist()
+            sets = list(shingle_sets(batch.column("text"), size))
+            own = pa.array([set_sums(g) == (x, y) for g, x, y in zip(sets, a, b, strict=True)], pa.bool_())  # an id may stand on other texts as well
+            yield pa.RecordBatch.from_arrays([batch.column("node").filter(own), pa.array([g.tobytes() for g in sets], pa.binary()).filter(own)], names=["node", "grams"])
 
     return run
 
@@ -246,14 +261,14 @@ def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return pairs.join(one, "a").join(two, "b").select("a", "b", "grams_a", "grams_b").mapInArrow(_confirm(percent), "a long, b long")
 
 
-def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80) -> DataFrame:
-    """(doc_id, n_shingles, component_id, kept) for every row of ``docs`` (doc_id, text)."""
+def _judged(docs: DataFrame, shingle: int, percent: int) -> DataFrame:
+    """(doc_id, digest, n_shingles, component_id, root) for every row of ``docs`` (doc_id, text); no root where nothing can be linked."""
     spark = docs.sparkSession
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    signed = materialise(texts.mapInArrow(_signatures(shingle), "doc_id long, n_shingles long, set_a long, set_b long, sig binary"), "signed")
+    signed = materialise(texts.select("doc_id", text_digest(F.col("text")).alias("digest"), "text").mapInArrow(_signatures(shingle), "doc_id long, digest binary, n_shingles long, set_a long, set_b long, sig binary"), "signed")
     key = ["n_shingles", "set_a", "set_b"]
     # one node for each distinct set
-    nodes = materialise(signed.filter("n_shingles > 0 and doc_id is not null").groupBy(*key).agg(F.min("doc_id").alias("node"), F.min("sig").alias("sig")), "nodes")
+    nodes = materialise(signed.filter("n_shingles > 0 and doc_id is not null").groupBy(*key).agg(F.min("doc_id").alias("first_id"), F.min("sig").alias("sig")).withColumn("node", F.monotonically_increasing_id()), "nodes")
     order = F.concat("sig", F.expr(f"substring(sig, 1, {4 * DEPTH})"))
     trees = nodes.select("node", F.explode(F.array(*[F.struct(F.lit(t).alias("tree"), order.substr(4 * STEP * t + 1, 4 * DEPTH).alias("order")) for t in range(TREES)])).alias("x")).select("node", "x.tree", "x.order")
     stretch = trees.repartitionByRange("tree", "order").sortWithinPartitions("tree", "order", "node")
@@ -266,8 +281,11 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80) -> Dat
     place = trees.select("node", F.xxhash64("tree", F.expr(f"substring(order, 1, {4 * STEP})")).alias("region"))
     crowded = place.groupBy("region").agg(F.count("*").alias("n")).filter("n > 1").select("region")
     members = materialise(place.join(crowded, "region"), "members")
-    active = members.select("node").distinct()
-    sets = materialise(texts.join(active.withColumnRenamed("node", "doc_id").hint("shuffle_hash"), "doc_id", "left_semi").mapInArrow(_sets(shingle), "node long, grams binary"), "sets")
+    active = members.select("node").distinct().join(nodes.select("node", F.col("first_id").alias("doc_id"), "set_a", "set_b"), "node")
+    sets = texts.join(active.hint("shuffle_hash"), "doc_id").select("node", "set_a", "set_b", "text").mapInArrow(_sets(shingle), "node long, grams binary")
+    if signed.filter("doc_id is not null").groupBy("doc_id").count().filter("count > 1").limit(1).count():
+        sets = sets.dropDuplicates(["node"])  # rows that repeat an id and its text
+    sets = materialise(sets, "sets")
     links = materialise(_confirmed(best, sets, percent), "links")
     first = materialise(components(links, "first"), "roots")
     # all other pairs of a region that could join two provisional components: first by signature, ...
@@ -280,16 +298,29 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80) -> Dat
     close = cluster.join(first, "node", "left").select("node", "cluster", F.coalesce("root", "node").alias("root")).join(nodes.select("node", "n_shingles"), "node").join(sets, "node")
     more = materialise(in_blocks(close, "cluster", "grams").mapInArrow(_linked(percent), "a long, b long"), "more")
     last = components(links.unionByName(more), "last") if more.limit(1).count() else first
-    group = nodes.join(last, "node", "left").select(*key, F.coalesce("root", "node").alias("root"))
-    out = signed.select("doc_id", *key).join(group, key, "left")
-    own = F.when(F.col("doc_id").isNotNull(), F.coalesce("root", "doc_id"))
+    rooted = nodes.join(last, "node", "left").select(*key, "first_id", F.coalesce("root", "node").alias("root"))
+    group = attach_min(rooted, "root", "first_id", "component_id").drop("first_id")
     release(spark, sets)
-    return out.select("doc_id", "n_shingles", own.alias("component_id"), F.coalesce(F.col("doc_id") == own, F.lit(True)).alias("kept"))
+    out = signed.select("doc_id", "digest", *key).join(group, key, "left")
+    alone = F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id"))
+    return out.select("doc_id", "digest", "n_shingles", alone.alias("component_id"), F.when(F.col("doc_id").isNotNull(), F.col("root")).alias("root"))
+
+
+def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80) -> DataFrame:
+    """(doc_id, n_shingles, component_id, kept) for every row of ``docs`` (doc_id, text)."""
+    kept = F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True))
+    return _judged(docs, shingle, percent).select("doc_id", "n_shingles", "component_id", kept.alias("kept"))
 
 
 def surviving_rows(docs: DataFrame, shingle: int = 5, percent: int = 80) -> DataFrame:
-    """The rows of ``docs`` that stay: the one with the least id of each group."""
-    return without(docs, near_duplicates(docs, shingle, percent).filter(~F.col("kept")))
+    """The rows of ``docs`` that stay: of each group the row with the least id, and of its texts the least by digest.
+
+    Rows without shingles or without an id are no one's copies and all stay, but for rows that repeat both id and text.
+    """
+    judged = materialise(_judged(docs, shingle, percent).select("doc_id", "digest", "root"), "judged")
+    best = judged.filter("root is not null").groupBy("root").agg(F.min(F.struct("doc_id", "digest")).alias("best")).select("best.*", F.lit(True).alias("stays"))
+    kept = F.col("root").isNull() | F.coalesce("stays", F.lit(False))
+    return one_of_each(docs, judged.join(best, ["doc_id", "digest"], "left").select("doc_id", "digest", kept.alias("kept")))
 
 
 def op5_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -6,7 +6,7 @@ import atexit
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 _OWN: dict[str, str] = {}
@@ -20,11 +20,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def scratch_root(spark: SparkSession) -> str:
     """The shared folder for intermediate tables: ``spark.checkpoint.dir`` of the session.
 
-    Only where that is unset (single-machine tests) a temporary folder of our own is made.
+    Only where that is unset and all of Spark is one process a temporary folder of our own is made;
+    on a cluster, where executors would each write to a disk of their own, that is an error.
     """
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     if "dir" not in _OWN:
         _OWN["dir"] = tempfile.mkdtemp(prefix="corpus_scratch_")
     return "file://" + _OWN["dir"]
@@ -52,18 +55,39 @@ def release(spark: SparkSession, df: DataFrame) -> None:
             fs.delete(folder, True)
 
 
-BROADCAST_ROWS = 2_000_000
+BROADCAST_ROWS = 500_000
 
 
-def without(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """Rows of ``docs`` whose doc_id is not in ``ids``.
+def text_digest(text: Column) -> Column:
+    """SHA-256 of a text, null as empty: with the id, what tells the rows of a table apart."""
+    return F.unhex(F.sha2(F.coalesce(text, F.lit("")), 256))
 
-    The ids are written first; where they are few (a checked number of 8-byte values) they are broadcast
+
+def without(docs: DataFrame, gone: DataFrame) -> DataFrame:
+    """Rows of ``docs`` whose (doc_id, text) is not in ``gone`` (doc_id, digest); null ids are values like others.
+
+    ``gone`` is written first; where it is short (a checked number of 40-byte rows) it is broadcast
     and the texts stay where they are, otherwise both sides are shuffled.
     """
-    gone = materialise(ids.select("doc_id").filter("doc_id is not null").distinct(), "gone")
+    gone = materialise(gone.select(F.col("doc_id").alias("gone_id"), F.col("digest").alias("gone_digest")).distinct(), "gone")
     side = F.broadcast(gone) if gone.count() <= BROADCAST_ROWS else gone.hint("shuffle_hash")
-    return docs.join(side, "doc_id", "left_anti").select(*docs.columns)
+    same = F.col("gone_digest").eqNullSafe(text_digest(docs["text"])) & F.col("gone_id").eqNullSafe(docs["doc_id"].cast("long"))
+    return docs.join(side, same, "left_anti").select(*[docs[c] for c in docs.columns])
+
+
+def one_of_each(docs: DataFrame, judged: DataFrame) -> DataFrame:
+    """Rows of ``docs`` that stay, given ``judged`` (doc_id, digest, kept) with one row per row of ``docs``.
+
+    Rows that repeat both id and text are told apart by nothing; of those one stays.
+    """
+    rest = without(docs, judged.filter(~F.col("kept")))
+    repeated = materialise(judged.filter("kept").groupBy("doc_id", "digest").count().filter("count > 1").select("doc_id", "digest"), "repeated")
+    if not repeated.limit(1).count():
+        return rest
+    own = F.broadcast(repeated.select(F.col("doc_id").alias("gone_id"), F.col("digest").alias("gone_digest"))) if repeated.count() <= BROADCAST_ROWS else repeated.select(F.col("doc_id").alias("gone_id"), F.col("digest").alias("gone_digest"))
+    same = F.col("gone_digest").eqNullSafe(text_digest(rest["text"])) & F.col("gone_id").eqNullSafe(rest["doc_id"].cast("long"))
+    again = rest.join(own, same, "left_semi").dropDuplicates(["doc_id", "text"])
+    return without(rest, repeated).unionByName(again)
 
 
 def _remove_at_exit(spark: SparkSession, path: str) -> None:

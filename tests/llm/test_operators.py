@@ -360,3 +360,32 @@ def test_token_counts(spark, odd, empty, docs):
         got = tokencount.counted(df).collect()
         assert sorted((r.doc_id or -1, r.n_tokens, r.n_tokens_after) for r in got) == sorted(after)
     assert tokencount.counted(empty).count() == 0
+
+
+# ---- one id on several texts, hubs
+
+
+def test_one_id_on_several_texts_loses_no_text(spark):
+    rows = [(3, "A"), (5, "A"), (5, "B"), (5, "B"), (None, "A"), (None, "C"), (None, "C")]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    for keep, expected in (("least", [(None, "C"), (3, "A"), (5, "B")]), ("largest", [(None, "C"), (5, "A"), (5, "B")])):
+        assert sorted(((r.doc_id, r.text) for r in exactdup.surviving_rows(df, keep).collect()), key=lambda r: (r[0] or 0, r[1])) == expected
+    a, b = " ".join(f"a{i}" for i in range(40)), " ".join(f"b{i}" for i in range(40))
+    near = [(1, a), (2, a + " more"), (2, b), (9, b + " more"), (4, a), (4, b), (None, a)]
+    df = spark.createDataFrame(near, "doc_id long, text string")
+    got = sorted((r.doc_id or 0, r.n_shingles, r.component_id, r.kept) for r in neardup.near_duplicates(df, 4, 80).collect())
+    assert got == [(0, 37, None, True), (1, 37, 1, True), (2, 37, 2, True), (2, 38, 1, False), (4, 37, 1, False), (4, 37, 2, False), (9, 38, 2, False)]
+    assert sorted((r.doc_id or 0, r.text) for r in neardup.surviving_rows(df, 4, 80).collect()) == [(0, a), (1, a), (2, b)]
+
+
+def test_exact_plan_sorts_and_merges(spark, docs):
+    plan = exactdup.merge_runs(exactdup.fingerprints(docs))._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("SortAggregate") == 8 and plan.count("Sort [") >= 8 and "HashAggregate" not in plan
+
+
+def test_components_of_a_hub(spark):
+    from arrayfactor.llm.components import components
+
+    edges = [(0, i) for i in range(1, 3000)] + [(5000 + i, 5001 + i) for i in range(300)] + [(7, 7)]
+    got = {r.node: r.root for r in components(spark.createDataFrame(edges, "a long, b long")).collect()}
+    assert all(got[i] == 0 for i in range(3000)) and all(got[5000 + i] == 5000 for i in range(301))
