@@ -2,7 +2,9 @@
 
 1. Seeds: well-formed identifiers (four kinds, fixed patterns) are found in every text.
 2. Patterns: the words before an identifier (one and two of them, case folded, with punctuation) are
-   lexical patterns. Candidates are tokens of an identifier's looser shape, seeds among them; each
+   lexical patterns. An identifier or candidate before it counts as one word that names its kind, and
+   nothing beyond it is looked at, so all contexts of a text together cost its length; a text's beginning
+   is a word of its own. A word longer than ``WORD`` characters stands as its beginning and a digest. Candidates are tokens of an identifier's looser shape, seeds among them; each
    occurrence joins an instance (kind and normalised content) to its patterns. Edges are counted
    over all texts; occurrences in one text count once.
 3. Scores: Spark iterates over the graph. A pattern's confidence is the count-weighted mean
@@ -15,6 +17,9 @@
 
 Texts are read twice and never shuffled; only edges are.
 
+All searches are linear in the text, whatever it holds: addresses are looked for from their at sign
+outwards, and the other shapes have bounded or possessive runs.
+
 Defined results: null counts as empty; repeated rows get equal spans; ids play no part; extra columns
 are ignored; without any identifier there are no patterns and no added spans.
 """
@@ -23,7 +28,9 @@ from __future__ import annotations
 
 import hashlib
 import re
+from bisect import bisect_left, bisect_right
 from collections.abc import Iterator
+from itertools import accumulate
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -37,6 +44,7 @@ PATTERN_BYTES = 32_000_000  # of confident patterns that may go to every task
 PATTERN_COST = 150  # bytes of one pattern besides its characters
 SALTS = 16
 CONFIDENT = 0.7
+WORD = 40
 PRIOR = 3.0
 
 # fixed values: the base patterns; the guards in front change no match, they only stop rescans
@@ -45,14 +53,15 @@ _EMAIL = re.compile(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+")
 _IP = re.compile(r"(?<![0-9])[0-9]++(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)")
 _CARD = re.compile(r"[0-9]([\x20-]?[0-9]){11,}+")
 _PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
-# looser shapes of the same kinds, for candidates
+# looser shapes of the same kinds, for candidates; an address is found by its at mark
 _LOOSE = {
-    "email": re.compile(r"[A-Za-z0-9._%+-]+ ?(?:\(at\)|\[at\]| at ) ?[A-Za-z0-9-]+(?: ?(?:\(dot\)|\[dot\]| dot |\.) ?[A-Za-z0-9-]+)+"),
     "ip": re.compile(r"(?<![0-9.:])(?:[0-9A-Fa-f]{1,4}:){5,7}[0-9A-Fa-f]{1,4}(?![0-9A-Fa-f:])"),
     "card": re.compile(r"(?<![0-9])[0-9]{4}(?:[.\x20-]?[0-9]{4}){2}[.\x20-]?[0-9]{1,7}(?![0-9])"),
     "phone": re.compile(r"(?<![0-9+])(?:\(?[0-9]{3}\)?[\x20.-]?)[0-9]{3}[.-][0-9]{4}(?![0-9])"),
 }
 _AT = re.compile(r"\(at\)|\[at\]| at ")
+_DOMAIN = re.compile(r" ?[A-Za-z0-9-]++(?: ?(?:\(dot\)|\[dot\]| dot |\.) ?[A-Za-z0-9-]++)+")
+_LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 
 
 def _luhn(digits: str) -> bool:
@@ -101,25 +110,50 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
     return sorted(out)
 
 
+def _loose_addresses(text: str) -> Iterator[tuple[int, int]]:
+    """Addresses with a spelt-out at mark, leftmost and without overlap; no character is walked over twice."""
+    upto = 0
+    for m in _AT.finditer(text):
+        end = m.start()
+        if end > upto and text[end - 1] == " ":
+            end -= 1
+        begin = end
+        while begin > upto and text[begin - 1] in _LOCAL:
+            begin -= 1
+        domain = _DOMAIN.match(text, m.end()) if begin < end else None
+        if domain:
+            yield begin, domain.end()
+            upto = domain.end()
+
+
 def candidate_spans(text: str, base: list[tuple[int, int, int]]) -> list[tuple[int, int, int]]:
     """Looser shapes that no base span touches."""
-    out = []
+    out = [(a, 0, b) for a, b in _loose_addresses(text)]
     for k, kind in enumerate(KINDS):
-        if kind == "email" and not _AT.search(text) or kind == "ip" and text.count(":") < 5:
-            continue
-        out += [(m.start(), k, m.end()) for m in _LOOSE[kind].finditer(text)]
-    return sorted(s for s in out if not any(a < s[2] and s[0] < b for a, _, b in base))
+        if kind in _LOOSE and not (kind == "ip" and text.count(":") < 5):
+            out += [(m.start(), k, m.end()) for m in _LOOSE[kind].finditer(text)]
+    if not out:
+        return out
+    starts, reach = [a for a, _, _ in base], list(accumulate((b for _, _, b in base), max))
+    clear = lambda a, b: not (n := bisect_left(starts, b)) or reach[n - 1] <= a
+    return sorted(s for s in out if clear(s[0], s[2]))
 
 
-def contexts(text: str, start: int, end: int) -> list[str]:
-    """The one and two words before a span; a text's beginning is a word of its own."""
-    before = text[max(0, start - 80) : start].split()
-    if start <= 80:
-        before.insert(0, "^")
-    elif before and not text[start - 81].isspace():
-        before = before[1:]
-    before = [w.lower() for w in before[-2:]]
-    return [" ".join(before[-n:]) for n in (1, 2) if len(before) >= n]
+def _word(w: str) -> str:
+    w = w.lower()
+    return w if len(w) <= WORD else f"{w[: WORD // 2]}~{hashlib.blake2b(w.encode(), digest_size=8).hexdigest()}"
+
+
+def contexts(text: str, spans: list[tuple[int, int, int]], every: list[tuple[int, int, int]]) -> list[list[str]]:
+    """For each of ``spans`` the one and two words before it; ``every`` holds all spans of the text."""
+    ends = sorted((b, k) for _, k, b in every)
+    out = []
+    for a, _, _ in spans:
+        n = bisect_right(ends, (a, len(KINDS)))
+        begin, mark = (ends[n - 1][0], f"<{KINDS[ends[n - 1][1]]}>") if n else (0, "^")
+        before = [mark, *map(_word, text[begin:a].rsplit(None, 2)[-2:])][-2:]
+        out.append([" ".join(before[-n:]) for n in (1, 2) if len(before) >= n])
+    return out
 
 
 def _instance(kind: int, text: str) -> str:
@@ -134,7 +168,8 @@ def _edges(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for text in batch.column("text").to_pylist():
             if text:
                 base = base_spans(text)
-                own = {(k, p, _instance(k, text[a:b]), seed) for spans, seed in ((base, True), (candidate_spans(text, base), False)) for a, k, b in spans for p in contexts(text, a, b)}
+                loose = candidate_spans(text, base)
+                own = {(k, p, _instance(k, text[a:b]), seed) for spans, seed in ((base, True), (loose, False)) for (a, k, b), ps in zip(spans, contexts(text, spans, base + loose), strict=True) for p in ps}
                 rows += sorted(own)
         yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate((pa.int32(), pa.string(), pa.string(), pa.bool_()))], names=["kind", "pattern", "instance", "seed"])
 
@@ -168,7 +203,8 @@ def _by_kind(patterns: DataFrame) -> dict[int, set[str]]:
 def discovered(text: str, base: list[tuple[int, int, int]], patterns: dict[int, set[str]]) -> list[tuple[int, int, int]]:
     if not patterns:
         return []
-    return [s for s in candidate_spans(text, base) if s[1] in patterns and any(p in patterns[s[1]] for p in contexts(text, s[0], s[2]))]
+    loose = candidate_spans(text, base)
+    return [s for s, ps in zip(loose, contexts(text, loose, base + loose), strict=True) if s[1] in patterns and any(p in patterns[s[1]] for p in ps)]
 
 
 def _joined(spans: list[tuple[int, int, int]]) -> str:
@@ -210,7 +246,8 @@ def _candidates(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 counts[k].append(sum(s[1] == k for s in base))
             digests.append(hashlib.sha256(_joined(base).encode()).hexdigest())
             found.append([{"start": a, "kind": k, "end": b} for a, k, b in base])
-            loose.append([{"start": a, "kind": k, "end": b, "patterns": contexts(text, a, b)} for a, k, b in candidate_spans(text, base)])
+            own = candidate_spans(text, base)
+            loose.append([{"start": a, "kind": k, "end": b, "patterns": ps} for (a, k, b), ps in zip(own, contexts(text, own, base + own), strict=True)])
         yield pa.RecordBatch.from_arrays([batch.column("row_id"), batch.column("doc_id"), *[pa.array(c, pa.int64()) for c in counts], pa.array(digests, pa.string()), pa.array(found, span), pa.array(loose, seen)], names=["row_id", "doc_id", *[f"n_{k}" for k in KINDS], "base_sha256", "base", "loose"])
 
 

@@ -389,3 +389,69 @@ def test_components_of_a_hub(spark):
     edges = [(0, i) for i in range(1, 3000)] + [(5000 + i, 5001 + i) for i in range(300)] + [(7, 7)]
     got = {r.node: r.root for r in components(spark.createDataFrame(edges, "a long, b long")).collect()}
     assert all(got[i] == 0 for i in range(3000)) and all(got[5000 + i] == 5000 for i in range(301))
+
+
+# ---- personal data: the whole method by brute force, long texts without spaces
+
+
+def brute_pii(texts, rounds=pii.ROUNDS):
+    """Candidates by plain patterns, graph scores over dictionaries, discoveries by confident patterns."""
+    loose = {0: re.compile(r"[A-Za-z0-9._%+-]+ ?(?:\(at\)|\[at\]| at ) ?[A-Za-z0-9-]+(?: ?(?:\(dot\)|\[dot\]| dot |\.) ?[A-Za-z0-9-]+)+")} | {pii.KINDS.index(k): p for k, p in pii._LOOSE.items()}
+    rows, edges = [], {}
+    for text in texts:
+        base = plain_pii(text)
+        found = sorted(s for k, p in loose.items() for s in ((m.start(), k, m.end()) for m in p.finditer(text)) if not any(a < s[2] and s[0] < b for a, _, b in base))
+        rows.append((text, base, found))
+        own = set()
+        for spans, seed in ((base, True), (found, False)):
+            for a, k, b in spans:
+                own |= {(k, p, pii._instance(k, text[a:b]), seed) for p in context(text, a, base + found)}
+        for k, p, i, seed in own:
+            old = edges.get((k, p, i), (False, 0))
+            edges[k, p, i] = (old[0] or seed, old[1] + 1)
+    seeds = {(k, i) for (k, _, i), (seed, _) in edges.items() if seed}
+    trust = {(k, i): float((k, i) in seeds) for k, _, i in edges}
+    confidence = {}
+    for _ in range(rounds):
+        total, good = {}, {}
+        for (k, p, i), (_, n) in edges.items():
+            total[k, p] = total.get((k, p), 0) + n
+            good[k, p] = good.get((k, p), 0) + n * trust[k, i]
+        confidence = {x: good[x] / (total[x] + pii.PRIOR) for x in total}
+        total, good = {}, {}
+        for (k, p, i), (_, n) in edges.items():
+            total[k, i] = total.get((k, i), 0) + n
+            good[k, i] = good.get((k, i), 0) + n * confidence[k, p]
+        trust = {x: 1.0 if x in seeds else good[x] / total[x] for x in total}
+    return [sorted(base + [s for s in found if any(confidence[s[1], p] >= pii.CONFIDENT for p in context(text, s[0], base + found))]) for text, base, found in rows]
+
+
+def context(text, at, every):
+    behind = max(((b, k) for _, k, b in every if b <= at), default=None)
+    words = [pii._word(w) for w in text[behind[0] if behind else 0 : at].split()]
+    words = [f"<{pii.KINDS[behind[1]]}>" if behind else "^", *words]
+    return [" ".join(words[-n:]) for n in (1, 2) if len(words) >= n]
+
+
+def test_whole_pii_method_by_brute_force(spark, docs):
+    import random
+
+    rnd = random.Random(9)
+    bits = ["mail ", "call ", "x@y.org ", "+49 170 1234567 ", "a (at) b (dot) c ", "jo at site dot com ", "555-123-4567 ", "(555) 123-4567 ", "1.2.3.4 ", "1:2:3:4:5:6 ", "4111 1111 1111 1112 ", "4111 1111 1111 1111 ", "w" * 60 + " ", "at ", "\n", "q"]
+    fuzzed = [(i, "".join(rnd.choice(bits) for _ in range(rnd.randint(0, 12)))) for i in range(400)]
+    plain = [(r.doc_id, r.text or "") for r in docs.select("doc_id", "text").collect()]
+    for rows in (fuzzed, plain, [(i, "write to " + t) for i, t in fuzzed] + plain):
+        expected = {i: pii._joined(s) for (i, _), s in zip(rows, brute_pii([t for _, t in rows]), strict=True)}
+        got = {r.doc_id: r.spans for r in pii.extract(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+        assert got == expected
+
+
+def test_long_texts_without_spaces_stay_linear():
+    import time
+
+    began = time.time()
+    for text in ("A" * 1_000_000 + "(at)", "A" * 1_000_000 + " at " + "B" * 1_000_000, "1.2.3.4," * 100_000, "a@b." * 250_000, "(at)" * 250_000, "+1" * 300_000, "1" * 1_000_000, "f:" * 500_000):
+        base = pii.base_spans(text)
+        own = pii.candidate_spans(text, base)
+        pii.contexts(text, base, base + own)
+    assert time.time() - began < 30
