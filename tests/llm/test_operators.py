@@ -455,3 +455,29 @@ def test_long_texts_without_spaces_stay_linear():
         own = pii.candidate_spans(text, base)
         pii.contexts(text, base, base + own)
     assert time.time() - began < 30
+
+
+def test_transducer_is_explicit_and_bounded():
+    import random
+    from pathlib import Path
+
+    import sentencepiece
+
+    library = sentencepiece.SentencePieceProcessor(model_file=pieces.MODEL)
+    machine = pieces.PieceTransducer(Path(pieces.MODEL).read_bytes())
+    rnd = random.Random(1)
+    bits = ["a", "b", "the", "ing", " ", "  ", "é", "日", "本", "😀", "\x00", "▁", "ß", "1", "22", "...", "\n", "\t", "zz", "qu", "x" * 90]
+    texts = ["".join(rnd.choice(bits) for _ in range(rnd.randint(0, 14))) for _ in range(4000)]
+    expected = [library.encode(t) for t in texts]
+    machine.paths = pieces.Kept(10_000, 250)  # so small that most paths are worked out again
+    for a in range(0, len(texts), 200):
+        assert [list(x) for x in machine.encode_all(texts[a : a + 200])] == expected[a : a + 200]
+        assert 250 * max(len(machine.paths.young), len(machine.paths.old)) <= 10_000 + 300
+    for t, e in zip(texts[:400], expected, strict=False):  # the one-segment form
+        assert [x for s in machine.segments(machine.normalise(t)) for x in np_list(machine._numbers(machine.shortest_path(s)))] == e
+
+
+def np_list(path):
+    import numpy as np
+
+    return np.frombuffer(path, "<i4").tolist()
