@@ -7,66 +7,88 @@ as the shortest window has. Each benchmark suffix is then binary-searched in the
 matching suffixes are one interval, whose entries are the verbatim occurrences and their places.
 Neighbouring occurrences on one diagonal join to longest matches.
 
-The training table is read once and never shuffled. The benchmark is the query side: it is sent
-to the executors in blocks of bounded size (``block_bytes``), one pass over the training table
-for each block, and the blocks' results are merged per text.
+Suffixes are compared to the depth of a window, which is what decides a hit.
+
+The training table is read once and never shuffled. The benchmark is the query side: tasks build
+it into blocks of at most ``block_bytes`` of text (about eight times that when built; an item longer
+than that is a block of its own), which are written to the shared folder. The driver holds one block at a
+time and sends it to the executors, one pass over the training table for each; the blocks' results
+are merged per row.
 
 Defined results: a null or empty text has no words, no hits and is not contaminated; an item
-without words has no window; repeated rows and ties are judged each by itself; extra columns are
+without words has no window; an item with a null id hits like any other and counts as one item, but its
+id is left out of the digest; rows that repeat an item's id count once; repeated rows and ties are judged each by itself; extra columns are
 ignored; an empty benchmark hits nothing.
 """
 
 from __future__ import annotations
 
 import hashlib
+import pickle
 from collections.abc import Iterator
+from functools import cached_property, reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .runtime import materialise, table
+from .runtime import BROADCAST_ROWS, materialise, table
 from .textcore import U64, chunks, find_words
 
 WINDOW = 13
 SHARD_WORDS = 1 << 18
-BLOCK_BYTES = 32 << 20
+BLOCK_BYTES = 4 << 20
 
 MATCHES = "row_id long, doc_id long, n_words long, starts array<int>, lengths array<int>, items array<long>, item_starts array<int>"
 VERDICT = "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean"
 
 
 class QueryBlock:
-    """Windows of some benchmark items as sortable keys over the items' vocabulary."""
+    """Distinct windows of some benchmark items as sortable keys over the items' vocabulary, with where they come from."""
 
-    def __init__(self, item_ids: list[int], texts: list[str | None], window: int = WINDOW):
-        words: list[np.ndarray] = []
+    def __init__(self, item_ids: list[int | None], texts: list[str | None], window: int = WINDOW):
+        hashes, ptr = [np.zeros(0, U64)], [0]
         for _, _, buf, offs in chunks(pa.array(texts, pa.large_string())):
             w = find_words(buf, offs, "alnum")
-            words += [w.hash[a:b] for a, b in zip(w.ptr[:-1], w.ptr[1:], strict=True)]
-        self.vocabulary = np.unique(np.concatenate(words)) if words else np.zeros(0, U64)
+            hashes.append(w.hash)
+            ptr += (ptr[-1] + w.ptr[1:]).tolist()
+        words, at = np.concatenate(hashes), np.array(ptr, np.int64)
+        self.item_ids = list(item_ids)
+        self.vocabulary, ids = np.unique(words, return_inverse=True)
         self.bits = max(1, int(len(self.vocabulary) + 1).bit_length())
         self.per_key = 63 // self.bits
         self.keys = -(-window // self.per_key)
-        found: dict[tuple[int, bytes], list[tuple[int, int]]] = {}
-        for item, own in zip(item_ids, words, strict=True):
-            if len(own) and item is not None:
-                size = min(window, len(own))
-                ids = np.searchsorted(self.vocabulary, own) + 1
-                for at in range(len(ids) - size + 1):
-                    found.setdefault((size, ids[at : at + size].astype(np.int64).tobytes()), []).append((item, at))
-        self.windows = list(found.values())
-        self.sizes = np.array([k[0] for k in found], np.int64)
+        count = np.diff(at)
+        size = np.minimum(count, window)
+        each = np.where(count > 0, count - size + 1, 0)  # windows of each item
+        item = np.repeat(np.arange(len(count)), each)
+        start = np.arange(len(item)) - np.repeat(np.cumsum(each) - each, each)
+        low = np.zeros((len(item), 8 * self.keys), np.uint8)
+        for a in range(0, len(item), 1 << 16):
+            part = slice(a, a + (1 << 16))
+            place = (at[item[part]] + start[part])[:, None] + np.arange(self.keys * self.per_key)
+            inside = np.arange(self.keys * self.per_key) < size[item[part]][:, None]
+            low[part] = self.pack(np.where(inside, ids[np.minimum(place, len(ids) - 1)] + 1, 0))
+        _, first, which = np.unique(_as_bytes(low), return_index=True, return_inverse=True)
+        order = np.argsort(which, kind="stable")
+        self.low, self.sizes = low[first], size[item[first]]
         self.shortest = int(self.sizes.min()) if len(self.sizes) else 0
-        rows = [np.frombuffer(k[1], np.int64) for k in found]
-        pad = self.keys * self.per_key
-        low = np.zeros((len(rows), pad), np.int64)
-        high = np.full((len(rows), pad), (1 << self.bits) - 1, np.int64)
-        for i, r in enumerate(rows):
-            low[i, : len(r)] = r
-            high[i, : len(r)] = r
-        self.low, self.high = self.pack(low), self.pack(high)
+        self.bounds = np.searchsorted(which[order], np.arange(len(first) + 1))
+        self.items, self.starts = item[order].astype(np.int32), start[order].astype(np.int32)
+
+    @cached_property
+    def ranges(self) -> tuple[np.ndarray, np.ndarray]:
+        """The smallest and the largest key that begin with each window, comparable; worked out where they are used."""
+        masks = np.zeros((self.keys * self.per_key + 1, self.keys * self.per_key), np.int64)
+        for n in range(len(masks)):
+            masks[n, n:] = (1 << self.bits) - 1
+        return _as_bytes(self.low), _as_bytes(self.low | self.pack(masks)[self.sizes])
+
+    def origins(self, which: int) -> list[tuple[int | None, int]]:
+        """(item id, first word) of every item place that has a window."""
+        own = slice(self.bounds[which], self.bounds[which + 1])
+        return [(self.item_ids[i], a) for i, a in zip(self.items[own].tolist(), self.starts[own].tolist(), strict=True)]
 
     def pack(self, ids: np.ndarray) -> np.ndarray:
         """Rows of word numbers to byte strings in the same order."""
@@ -111,18 +133,18 @@ class Shard:
     def occurrences(self) -> tuple[np.ndarray, np.ndarray]:
         """(word position, window number) of every verbatim occurrence of every window."""
         b = self.block
-        if not len(b.windows) or not len(self.keys):
+        if not len(b.sizes) or not len(self.keys):
             return np.zeros(0, np.int64), np.zeros(0, np.int64)
-        lo = np.searchsorted(self.keys, _as_bytes(b.low), side="left")
-        hi = np.searchsorted(self.keys, _as_bytes(b.high), side="right")
+        lo = np.searchsorted(self.keys, b.ranges[0], side="left")
+        hi = np.searchsorted(self.keys, b.ranges[1], side="right")
         n = np.maximum(hi - lo, 0)
         which = np.repeat(np.arange(len(n)), n)
         at = np.repeat(lo, n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
         return self.suffixes[at], which
 
 
-def _digest(items: list[int]) -> str:
-    return hashlib.sha256(",".join(sorted(map(str, items))).encode()).hexdigest()
+def _digest(items) -> str:
+    return hashlib.sha256(",".join(sorted(str(i) for i in items if i is not None)).encode()).hexdigest()
 
 
 def _shards(batches: Iterator[pa.RecordBatch], shard_words: int) -> Iterator[tuple[list, np.ndarray, np.ndarray]]:
@@ -147,7 +169,7 @@ def _pairs(shard: Shard, where: np.ndarray, which: np.ndarray) -> tuple[np.ndarr
     """Occurrences with the items and item positions of their windows: (occurrence, item, item start)."""
     index, items, starts = [], [], []
     for k, w in enumerate(which):
-        for item, at in shard.block.windows[w]:
+        for item, at in shard.block.origins(w):
             index.append(k)
             items.append(item)
             starts.append(at)
@@ -167,11 +189,11 @@ def _verdicts(block, shard_words: int):
             hit = np.concatenate([[0], np.cumsum(np.cumsum(marks[:-1]) > 0)])
             n_hit = hit[ptr[1:]] - hit[ptr[:-1]]
             doc = np.searchsorted(ptr, where, side="right") - 1
-            found: dict[int, set[int]] = {}
+            found: dict[int, set[int | None]] = {}
             for d, w in np.unique(np.stack([doc, which], 1), axis=0) if len(doc) else ():
-                found.setdefault(int(d), set()).update(i for i, _ in own.windows[w])
+                found.setdefault(int(d), set()).update(i for i, _ in own.origins(w))
             n_words = np.diff(ptr)
-            digests = [_digest(list(found[d])) if d in found else none for d in range(len(rows))]
+            digests = [_digest(found[d]) if d in found else none for d in range(len(rows))]
             yield pa.RecordBatch.from_arrays(
                 [pa.array([r[0] for r in rows], pa.int64()), pa.array(n_words, pa.int64()), pa.array(n_hit, pa.int64()), pa.array([len(found.get(d, ())) for d in range(len(rows))], pa.int64()), pa.array(digests), pa.array((n_hit > 0) & (20 * n_hit >= n_words))],
                 names=["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated"],
@@ -190,7 +212,7 @@ def _matches(block, shard_words: int):
             index, items, item_starts = _pairs(shard, where, which)
             doc = np.searchsorted(ptr, where, side="right") - 1
             runs: dict[int, list[tuple[int, int, int, int]]] = {}
-            by_diagonal = sorted(zip(doc[index].tolist(), items, (where[index] - np.array(item_starts, np.int64)).tolist(), where[index].tolist(), own.sizes[which[index]].tolist(), item_starts, strict=True)) if len(index) else []
+            by_diagonal = sorted(zip(doc[index].tolist(), items, (where[index] - np.array(item_starts, np.int64)).tolist(), where[index].tolist(), own.sizes[which[index]].tolist(), item_starts, strict=True), key=lambda x: (x[0], x[1] is None, x[1] or 0, *x[2:])) if len(index) else []
             last = None
             for d, item, diagonal, at, size, i_at in by_diagonal:
                 if last and last[:3] == (d, item, diagonal) and at <= runs[d][-1][0] + runs[d][-1][1]:
@@ -200,7 +222,7 @@ def _matches(block, shard_words: int):
                     runs.setdefault(d, []).append((at, size, item, i_at))
                 last = (d, item, diagonal)
             for d in range(len(rows)):
-                own_runs = sorted((s - int(ptr[d]), n, i, a) for s, n, i, a in runs.get(d, []))
+                own_runs = sorted(((s - int(ptr[d]), n, i, a) for s, n, i, a in runs.get(d, [])), key=lambda x: (*x[:2], x[2] is None, x[2] or 0, x[3]))
                 for k in range(4):
                     out[k].append([x[k] for x in own_runs])
             yield pa.RecordBatch.from_arrays(
@@ -211,28 +233,55 @@ def _matches(block, shard_words: int):
     return run
 
 
-def query_blocks(benchmark: DataFrame, block_bytes: int = BLOCK_BYTES, window: int = WINDOW) -> list[QueryBlock]:
-    """The benchmark in blocks of at most about ``block_bytes`` of text (or one longer item)."""
-    blocks, ids, texts, size = [], [], [], 0
-    for row in benchmark.select("item_id", "text").toLocalIterator():
-        if ids and size + len(row.text or "") > block_bytes:
-            blocks.append(QueryBlock(ids, texts, window))
-            ids, texts, size = [], [], 0
-        ids.append(row.item_id)
-        texts.append(row.text)
-        size += len(row.text or "")
-    return [*blocks, QueryBlock(ids, texts, window)]
+def _build(block_bytes: int, window: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def block() -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array([pickle.dumps(QueryBlock(ids, texts, window))], pa.large_binary()).cast(pa.binary())], names=["block"])
+
+        ids, texts, size = [], [], 0
+        for batch in batches:
+            for item, value in zip(batch.column("item_id").to_pylist(), batch.column("text"), strict=True):
+                text = value.as_py() or ""
+                if ids and size + len(text) > block_bytes:
+                    yield block()
+                    ids, texts, size = [], [], 0
+                ids.append(item)
+                texts.append(text)
+                size += len(text)
+        if ids:
+            yield block()
+
+    return run
+
+
+def query_blocks(benchmark: DataFrame, block_bytes: int = BLOCK_BYTES, window: int = WINDOW) -> DataFrame:
+    """(block): the benchmark in blocks of at most about ``block_bytes`` of text (or one longer item), built in tasks."""
+    total = benchmark.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), "text").repartition(max(1, -(-total // block_bytes)))
+    return materialise(items.mapInArrow(_build(block_bytes, window), "block binary"), "blocks")
+
+
+def _sent(spark: SparkSession, blocks: DataFrame) -> Iterator:
+    """The blocks as broadcast variables, one after another; the driver holds one at a time."""
+    for row in blocks.toLocalIterator():
+        yield spark.sparkContext.broadcast(pickle.loads(row.block))
+
+
+def _found(numbered: DataFrame, blocks: DataFrame, shard_words: int) -> DataFrame:
+    """The matches of all rows of ``numbered`` (row_id, doc_id, text), one row for each and block."""
+    parts = []
+    for block in _sent(numbered.sparkSession, blocks):
+        parts.append(materialise(numbered.mapInArrow(_matches(block, shard_words), MATCHES), "matches"))
+        block.unpersist()
+    return reduce(DataFrame.unionByName, parts)
 
 
 def longest_matches(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, shard_words: int = SHARD_WORDS, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """Longest verbatim matches of at least a window: (doc_id, word_start, n_words, item_id, item_start)."""
-    out = None
-    sc = docs.sparkSession.sparkContext
-    for block in query_blocks(benchmark, block_bytes, window):
-        part = docs.select(F.lit(0).cast("long").alias("row_id"), F.col("doc_id").cast("long"), "text").mapInArrow(_matches(sc.broadcast(block), shard_words), MATCHES)
-        part = part.select("doc_id", F.explode(F.arrays_zip("starts", "lengths", "items", "item_starts")).alias("m")).select("doc_id", F.col("m.starts").alias("word_start"), F.col("m.lengths").alias("n_words"), F.col("m.items").alias("item_id"), F.col("m.item_starts").alias("item_start"))
-        out = part if out is None else out.unionByName(part)
-    return out
+    numbered = docs.select(F.lit(0).cast("long").alias("row_id"), F.col("doc_id").cast("long").alias("doc_id"), "text")
+    found = _found(numbered, query_blocks(benchmark, block_bytes, window), shard_words)
+    found = found.select("doc_id", F.explode(F.arrays_zip("starts", "lengths", "items", "item_starts")).alias("m"))
+    return found.select("doc_id", F.col("m.starts").alias("word_start"), F.col("m.lengths").alias("n_words"), F.col("m.items").alias("item_id"), F.col("m.item_starts").alias("item_start"))
 
 
 def _merged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -244,37 +293,41 @@ def _merged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 hit += max(0, a + n - max(a, upto))
                 upto = max(upto, a + n)
             items = {x for s in r["items"] for x in s}
-            out.append({"doc_id": r["doc_id"], "n_words": r["n_words"], "n_hit": hit, "n_items": len(items), "items_sha256": _digest(list(items)), "contaminated": hit > 0 and 20 * hit >= r["n_words"]})
-        yield pa.RecordBatch.from_pylist(out, pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_hit", pa.int64()), ("n_items", pa.int64()), ("items_sha256", pa.string()), ("contaminated", pa.bool_())]))
+            out.append({"row_id": r["row_id"], "doc_id": r["doc_id"], "n_words": r["n_words"], "n_hit": hit, "n_items": len(items), "items_sha256": _digest(items), "contaminated": hit > 0 and 20 * hit >= r["n_words"]})
+        yield pa.RecordBatch.from_pylist(out, pa.schema([("row_id", pa.int64()), ("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_hit", pa.int64()), ("n_items", pa.int64()), ("items_sha256", pa.string()), ("contaminated", pa.bool_())]))
+
+
+def _by_blocks(numbered: DataFrame, blocks: DataFrame, shard_words: int) -> DataFrame:
+    """Verdicts with their row numbers where the benchmark is more than one block."""
+    every = _found(numbered, blocks, shard_words)
+    gathered = every.groupBy("row_id").agg(F.first("doc_id").alias("doc_id"), F.first("n_words").alias("n_words"), *[F.collect_list(c).alias(c) for c in ("starts", "lengths", "items")])
+    return gathered.mapInArrow(_merged, f"row_id long, {VERDICT}")
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, shard_words: int = SHARD_WORDS, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """One row per row of ``docs``: words, words inside benchmark windows, items, verdict."""
-    sc = docs.sparkSession.sparkContext
+    spark = docs.sparkSession
     blocks = query_blocks(benchmark, block_bytes, window)
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    if len(blocks) == 1:
-        return texts.mapInArrow(_verdicts(sc.broadcast(blocks[0]), shard_words), VERDICT)
+    n = blocks.count()
+    if n <= 1:
+        block = next(_sent(spark, blocks)) if n else spark.sparkContext.broadcast(QueryBlock([], [], window))
+        return texts.mapInArrow(_verdicts(block, shard_words), VERDICT)
     numbered = materialise(texts.select(F.monotonically_increasing_id().alias("row_id"), "doc_id", "text"), "numbered")
-    parts = [materialise(numbered.mapInArrow(_matches(sc.broadcast(b), shard_words), MATCHES), "matches") for b in blocks]
-    every = parts[0]
-    for p in parts[1:]:
-        every = every.unionByName(p)
-    gathered = every.groupBy("row_id").agg(F.first("doc_id").alias("doc_id"), F.first("n_words").alias("n_words"), *[F.collect_list(c).alias(c) for c in ("starts", "lengths", "items")])
-    return gathered.mapInArrow(_merged, VERDICT)
+    return _by_blocks(numbered, blocks, shard_words).drop("row_id")
 
 
-def _clean(blocks):
+def _clean(block):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = block.value
         for batch in batches:
             keep = np.ones(batch.num_rows, bool)
             for lo, hi, buf, offs in chunks(batch.column("text")):
                 w = find_words(buf, offs, "alnum")
                 marks = np.zeros(len(w.hash) + 1, np.int64)
-                for block in blocks:
-                    where, which = Shard(block.value, w.hash, w.ptr).occurrences()
-                    np.add.at(marks, where, 1)
-                    np.add.at(marks, where + block.value.sizes[which], -1)
+                where, which = Shard(own, w.hash, w.ptr).occurrences()
+                np.add.at(marks, where, 1)
+                np.add.at(marks, where + own.sizes[which], -1)
                 hit = np.concatenate([[0], np.cumsum(np.cumsum(marks[:-1]) > 0)])
                 n_hit = hit[w.ptr[1:]] - hit[w.ptr[:-1]]
                 keep[lo:hi] = (n_hit == 0) | (20 * n_hit < w.count)
@@ -284,9 +337,19 @@ def _clean(blocks):
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_bytes: int = BLOCK_BYTES) -> DataFrame:
-    """The rows of ``docs``, all columns, that are not contaminated; each batch is one shard."""
-    blocks = [docs.sparkSession.sparkContext.broadcast(b) for b in query_blocks(benchmark, block_bytes, window)]
-    return docs.mapInArrow(_clean(blocks), docs.schema)
+    """The rows of ``docs``, all columns, that are not contaminated; with one block each batch is one shard."""
+    spark = docs.sparkSession
+    blocks = query_blocks(benchmark, block_bytes, window)
+    n = blocks.count()
+    if n == 0:
+        return docs
+    if n == 1:
+        return docs.mapInArrow(_clean(next(_sent(spark, blocks))), docs.schema)
+    own = materialise(docs.select(F.monotonically_increasing_id().alias("corpus_row_number"), F.struct(*[docs[c] for c in docs.columns]).alias("kept_row")), "numbered")
+    numbered = own.select(F.col("corpus_row_number").alias("row_id"), F.col("kept_row.doc_id").cast("long").alias("doc_id"), F.col("kept_row.text").alias("text"))
+    gone = materialise(_by_blocks(numbered, blocks, SHARD_WORDS).filter("contaminated").select(F.col("row_id").alias("corpus_row_number")), "gone")
+    side = F.broadcast(gone) if gone.count() <= BROADCAST_ROWS else gone
+    return own.join(side, "corpus_row_number", "left_anti").select("kept_row.*")
 
 
 def op7_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
