@@ -4,7 +4,8 @@ Features are word runs and punctuation runs (case kept) and pairs of neighbourin
 ``1 << BITS`` buckets; a text's feature vector is its counts divided by its number of n-grams. The
 model is fitted on a bounded sample of labelled rows (``SAMPLE_PER_CLASS`` of each class at most):
 ``TRAINERS`` tasks each run follow-the-regularised-leader over their share of the sample, several
-passes, and the models are averaged. The weights are one array of fixed size, sent to all tasks,
+passes over its rows in an order that hashes of their ids and texts fix, and the models are averaged, so the
+weights do not depend on how rows arrive. The weights are one array of fixed size, sent to all tasks,
 and a text's score is a sparse dot product through the logistic function. Scoring reads every text
 once, whole, without a shuffle.
 
@@ -95,7 +96,7 @@ def _train(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def fit(docs: DataFrame, labels: DataFrame, label: str, usable, per_class: int = SAMPLE_PER_CLASS) -> np.ndarray:
     """The averaged weights; the last is the intercept."""
     sample = labelled_sample(docs, labels, label, usable, per_class)
-    dealt = sample.select("text", "y", F.pmod(F.xxhash64("doc_id"), F.lit(TRAINERS)).alias("trainer")).groupBy("trainer").applyInArrow(_train_group, "i int, w double, n long")
+    dealt = sample.select("text", "y", F.xxhash64("doc_id", "text").alias("place"), F.pmod(F.xxhash64("doc_id"), F.lit(TRAINERS)).alias("trainer")).groupBy("trainer").applyInArrow(_train_group, "i int, w double, n long")
     averaged = dealt.groupBy("i").agg(F.sum(F.col("w") * F.col("n")).alias("w"))
     weights = np.zeros((1 << BITS) + 1)
     got = averaged.toPandas()  # at most one row for each bucket
@@ -106,7 +107,7 @@ def fit(docs: DataFrame, labels: DataFrame, label: str, usable, per_class: int =
 
 
 def _train_group(tables: pa.Table) -> pa.Table:
-    order = tables.sort_by([("y", "ascending")])
+    order = tables.sort_by([("y", "ascending"), ("place", "ascending"), ("text", "ascending")])
     out = list(_train(iter(order.combine_chunks().to_batches())))
     schema = pa.schema([("i", pa.int32()), ("w", pa.float64()), ("n", pa.int64())])
     return pa.Table.from_batches(out, schema)

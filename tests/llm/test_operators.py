@@ -151,6 +151,13 @@ def test_contamination(spark, odd, empty, docs, duck, same):
     assert {(1, 14, 14, 2, True), (2, 14, 14, 2, True), (3, 0, 0, 0, False), (4, 0, 0, 0, False), (8, 40001, 0, 0, False)} <= got
     assert decontaminate.contamination(empty, items).count() == 0
     assert decontaminate.contamination(odd, items.filter("false")).filter("n_hit > 0").count() == 0
+    nulls = spark.createDataFrame([(None, TEXTS[0][1]), (None, "eight nine ten"), (4, "twelve thirteen")], "item_id long, text string")
+    for block_bytes in (1 << 20, 10):
+        got = {r.doc_id: (r.n_hit, r.n_items, r.items_sha256, r.contaminated) for r in decontaminate.contamination(odd, nulls, block_bytes=block_bytes).collect()}
+        assert got[1] == (14, 2, hashlib.sha256(b"4").hexdigest(), True) and got[4][3] is False
+        assert sorted(r.doc_id or 0 for r in decontaminate.clean(odd, nulls, block_bytes=block_bytes).collect()) == sorted(i or 0 for i, _ in TEXTS if i not in (1, 2))
+    same(decontaminate.clean(docs, bench, block_bytes=2000).select("doc_id").toPandas(), duck.sql(f"SELECT doc_id FROM ({decontaminate.ORACLE}) WHERE NOT contaminated").df())
+    assert decontaminate.query_blocks(bench, 2000).count() > 5
     kept = decontaminate.clean(odd, items)
     assert kept.columns == odd.columns and sorted(r.doc_id or 0 for r in kept.collect()) == sorted(i or 0 for i, _ in TEXTS if i not in (1, 2))
     longest = decontaminate.longest_matches(odd, items).filter("doc_id = 1 AND item_id = 2").collect()
@@ -250,6 +257,61 @@ def test_licenses(spark, odd, empty, duck, same):
     assert got[7].base_labels == "cc-by,gpl,reserved" and "cc-by-nc" in got[7].labels and got[7].n_base == 3
     assert (got[3].n_words, got[3].n_base, got[3].labels, got[3].first_word) == (0, 0, "", None)
     assert licenses.scan(empty).count() == 0
+    passages = [(i, "X " * i + " ".join(t.words).upper() + " y") for i, t in enumerate(licenses.TEMPLATES)]
+    changed = [(100 + i, " ".join("zzz" if j % 9 == 0 and not t.key[0] <= j < t.key[1] else w for j, w in enumerate(t.words))) for i, t in enumerate(licenses.TEMPLATES)]
+    odd_case = [(900, "\u212aey general public license"), (901, "l\u0130cense all r\u0130ghts reserved"), (902, "cc cc by by cc by")]
+    got = {r.doc_id: r for r in licenses.scan(spark.createDataFrame(passages + changed + odd_case, "doc_id long, text string")).collect()}
+    for i, t in enumerate(licenses.TEMPLATES):
+        assert t.label in got[i].labels.split(",") and got[i].score == 1.0 and (t.label, i + t.key[0]) in {(p.label, p.at) for p in got[i].places}
+        assert t.label in got[100 + i].labels.split(",")
+    assert (got[900].base_labels, got[900].n_words, got[901].base_labels, got[901].n_words, got[902].n_base, got[902].first_word, got[902].last_word) == ("gpl", 4, "", 4, 2, 1, 4)
+
+
+def test_quality_fit_by_brute_force_in_any_order(spark, docs, labels):
+    """The trainers' updates over dictionaries, one coordinate at a time; equal for any partitioning."""
+    import zlib
+    from collections import Counter
+
+    import numpy as np
+    import pyarrow as pa
+
+    few = labels.orderBy("doc_id").limit(30)
+    weights = quality.fit(docs, few, "quality", F.lit(True))
+    assert (weights == quality.fit(docs.repartition(13), few, "quality", F.lit(True))).all()
+    place = F.xxhash64("doc_id", "text")
+    rows = docs.join(few, "doc_id").select("doc_id", "text", "quality", place.alias("place"), F.pmod(F.xxhash64("doc_id"), F.lit(quality.TRAINERS)).alias("trainer")).collect()
+    total, n = Counter(), 0
+    for trainer in range(quality.TRAINERS):
+        own = sorted((r for r in rows if r.trainer == trainer), key=lambda r: (r.quality, r.place, r.text))
+        if not own:
+            continue
+        share = sum(r.quality for r in own) / len(own)
+        z, s, order = Counter(), Counter(), np.random.RandomState(5)
+        alpha, beta, l1, l2 = 2.0, 0.02, 1e-4, 1e-3
+        weight = lambda i, z=z, s=s: 0.0 if abs(z[i]) <= l1 else -(z[i] - (l1 if z[i] > 0 else -l1)) / ((beta + s[i] ** 0.5) / alpha + l2)
+        vectors = []
+        for r in own:
+            (_, _, bucket, _), = quality.features(pa.array([r.text]))
+            vectors.append({**{i: c / len(bucket) for i, c in Counter(bucket.tolist()).items()}, 1 << quality.BITS: 1.0})
+        for _ in range(quality.PASSES):
+            for k in order.permutation(len(own)):
+                x, y = vectors[k], own[k].quality
+                w = {i: weight(i) for i in x}
+                p = 1 / (1 + np.exp(-np.clip(sum(w[i] * v for i, v in x.items()), -35, 35)))
+                for i, v in x.items():
+                    g = (0.5 / max(share if y else 1 - share, 1e-9)) * (p - y) * v
+                    z[i] += g - ((s[i] + g * g) ** 0.5 - s[i] ** 0.5) / alpha * w[i]
+                    s[i] += g * g
+        for i in z:
+            total[i] += weight(i) * len(own)
+        n += len(own)
+    assert n == len(rows) and np.allclose(weights, [total[i] / n for i in range(len(weights))], atol=1e-9)
+    scored = {r.doc_id: r.score for r in quality.score(docs, weights, quality.fold_of(3) == 1).collect()}
+    for r in rows:
+        (_, _, bucket, _), = quality.features(pa.array([r.text]))
+        assert abs(scored[r.doc_id] - 1 / (1 + np.exp(-(sum(total[i] / n for i in bucket.tolist()) / max(len(bucket), 1) + total[1 << quality.BITS] / n)))) < 1e-5
+    held = {r.doc_id for r in quality.score(docs, weights, quality.fold_of(3) == 1).filter("held_out").collect()}
+    assert held == {r.doc_id for r in docs.select("doc_id").collect() if zlib.crc32(str(r.doc_id).encode()) % 3 == 1}
 
 
 # ---- classifiers
