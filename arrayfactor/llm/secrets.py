@@ -3,8 +3,10 @@
 1. Each rule's regular expression is analysed into a Boolean query over trigrams that every match
    must contain (case folded): literal runs give conjunctions, alternatives disjunctions. A rule
    without mandatory trigrams has no query.
-2. The index has, for each trigram that a query names and each block of 32,768 ids, a bitmap of
-   the ids whose text contains it. Queries are evaluated on the postings: bitmaps of a conjunction are
+2. The index has, for each trigram that a query names and each block of 32,768 rows, a bitmap of
+   the rows whose text contains it. All trigrams of a text are found in one pass, by one expression
+   that looks ahead at every place for any of them. Rows are numbered by their place in their file, which
+   is dense whatever the ids are; a table that is not files is written once first. Queries are evaluated on the postings: bitmaps of a conjunction are
    intersected, those of its alternatives united.
 3. Rules verify their candidates by their regular expression, leftmost and without overlap; rules
    without a query scan every text. Both happen in one pass over the table, which is joined to the
@@ -12,9 +14,8 @@
    broadcast where their size, checked after they are written, is small, and otherwise joined by
    a shuffle. Offsets are code points; they come from the lengths of matches and what lies between.
 
-Defined results: null counts as empty text; a null id is a candidate of every rule; rows that share an
-id share candidate bits and are verified each by itself; extra columns are ignored; an empty table
-gives an empty result.
+Defined results: null counts as empty text; ids play no part; repeated rows are indexed and verified
+each by itself; extra columns are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -23,6 +24,7 @@ import re
 from dataclasses import dataclass
 from functools import reduce
 
+from pyspark.errors import AnalysisException
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -120,23 +122,41 @@ def _quoted(s: str) -> str:
     return "'" + s.replace("\\", "\\\\").replace("'", "\\'") + "'"
 
 
-def build_index(docs: DataFrame, trigrams: list[str]) -> DataFrame:
-    """(trigram, block, ids): bitmaps of the ids whose text contains the trigram, over all rows."""
-    folded = F.lower(F.coalesce(F.col("text"), F.lit("")))
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), folded.alias("folded")).filter("doc_id is not null")
-    present = F.array_compact(F.array(*[F.when(F.contains("folded", F.lit(t)), F.lit(t)) for t in trigrams]))
-    posting = rows.select("doc_id", F.explode(present).alias("trigram"))
-    return posting.groupBy("trigram", F.bitmap_bucket_number("doc_id").alias("block")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("doc_id")).alias("ids"))
+def any_of(trigrams: list[str]) -> str:
+    """A regular expression that captures, at any place and without moving on, the listed trigram that begins there."""
+    tree: dict = {}
+    for t in trigrams:
+        tree.setdefault(t[0], {}).setdefault(t[1], []).append(t[2])
+    quote = lambda c: "\\x{%x}" % ord(c)
+    one = lambda cs: "[" + "".join(map(quote, sorted(cs))) + "]"
+    pairs = lambda own: "|".join(quote(b) + one(cs) for b, cs in sorted(own.items()))
+    return f"(?=({'|'.join(quote(a) + '(?:' + pairs(own) + ')' for a, own in sorted(tree.items()))})){one(tree)}"
+
+
+def numbered(docs: DataFrame) -> DataFrame:
+    """(doc_id, text, file, block, bit): every row's dense place, by its number in its file."""
+    try:
+        rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.col("_metadata.file_path").alias("file"), F.col("_metadata.row_index").alias("row"))
+    except AnalysisException:  # not read from Parquet files
+        return numbered(materialise(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), "rows"))
+    return rows.select("doc_id", F.coalesce("text", F.lit("")).alias("text"), "file", F.bitmap_bucket_number(F.col("row") + 1).alias("block"), F.bitmap_bit_position(F.col("row") + 1).alias("bit"))
+
+
+def build_index(rows: DataFrame, trigrams: list[str]) -> DataFrame:
+    """(trigram, file, block, ids): bitmaps of the rows whose text contains the trigram, over all rows."""
+    present = F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(any_of(trigrams)), F.lit(1)))
+    posting = rows.select("file", "block", "bit", F.explode(present).alias("trigram"))
+    return posting.groupBy("trigram", "file", "block").agg(F.bitmap_construct_agg("bit").alias("ids"))
 
 
 def candidates(index: DataFrame, queries: dict[str, Query]) -> DataFrame:
-    """(block, one bitmap column for each rule): the Boolean queries evaluated on the postings."""
+    """(file, block, one bitmap column for each rule): the Boolean queries evaluated on the postings."""
     spark = index.sparkSession
     rows = [f"({_quoted(kind)}, {n}, {len(c)}, {_quoted(t)})" for kind, q in queries.items() for n, c in enumerate(sorted(map(sorted, q))) for t in c]
     wanted = spark.sql(f"SELECT * FROM VALUES {', '.join(rows)} AS q(kind, clause, needs, trigram)")
-    clauses = index.join(F.broadcast(wanted), "trigram").groupBy("kind", "clause", "needs", "block").agg(F.bitmap_and_agg("ids").alias("ids"), F.count("*").alias("n")).filter("n = needs")
-    united = clauses.groupBy("kind", "block").agg(F.bitmap_or_agg("ids").alias("ids"))
-    return united.groupBy("block").agg(*[F.max(F.when(F.col("kind") == k, F.col("ids"))).alias(f"in_{k}") for k in queries])
+    clauses = index.join(F.broadcast(wanted), "trigram").groupBy("kind", "clause", "needs", "file", "block").agg(F.bitmap_and_agg("ids").alias("ids"), F.count("*").alias("n")).filter("n = needs")
+    united = clauses.groupBy("kind", "file", "block").agg(F.bitmap_or_agg("ids").alias("ids"))
+    return united.groupBy("file", "block").agg(*[F.max(F.when(F.col("kind") == k, F.col("ids"))).alias(f"in_{k}") for k in queries])
 
 
 def _has(bitmap: Column, position: Column) -> Column:
@@ -194,12 +214,11 @@ def scan(docs: DataFrame, rules: list[Rule] = RULES) -> DataFrame:
     """One row per row of ``docs``: doc_id and its spans (start, rank, end, kind, base) in order."""
     queries = {r.kind: q for r in rules if ANY != (q := trigram_query(r.pattern))}
     trigrams = sorted({t for q in queries.values() for c in q for t in c})
-    found = materialise(candidates(build_index(docs, trigrams), queries), "candidates")
+    rows = numbered(docs)
+    found = materialise(candidates(build_index(rows, trigrams), queries), "candidates")
     small = found.count() * len(queries) * 4096 <= BROADCAST_BYTES
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text"), F.lit("")).alias("text"))
-    rows = rows.withColumn("block", F.bitmap_bucket_number("doc_id")).join(F.broadcast(found) if small else found, "block", "left")
-    at = F.bitmap_bit_position("doc_id")
-    flag = lambda r: F.col("doc_id").isNull() | _has(F.col(f"in_{r.kind}"), at) if r.kind in queries else F.col("text").rlike(r.pattern)
+    rows = rows.join(F.broadcast(found) if small else found, ["file", "block"], "left")
+    flag = lambda r: _has(F.col(f"in_{r.kind}"), F.col("bit")) if r.kind in queries else F.col("text").rlike(r.pattern)
     rows = rows.select("doc_id", "text", *[flag(r).alias(f"open_{r.kind}") for r in rules])
     return with_spans(rows, rules, {r.kind: F.col(f"open_{r.kind}") for r in rules}).select("doc_id", "spans")
 
