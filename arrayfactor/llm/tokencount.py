@@ -1,15 +1,17 @@
 """Token counts that follow edits.
 
-A text is cut into pre-tokens by the tokenizer's pattern; leaves of ``LEAF`` pre-tokens carry their
-characters and tokens, and a segment tree over the leaves carries the sums. An edit re-encodes the
-pre-tokens that it touches with one before them, and goes on to the first old pre-token boundary
-after it that the new cut meets: the pattern looks at nothing before a pre-token and at one character
-after it, so what follows is unchanged. Only the leaves of that region change, and the sums above them.
+A text is cut into pre-tokens by the tokenizer's pattern; leaves of ``LEAF`` pre-tokens hold their part of
+the text with its pre-tokens' sizes and token counts, and a segment tree over the leaves carries the sums of
+characters and tokens. An edit re-encodes the pre-tokens that it touches with one before them, and goes
+on to the first old pre-token boundary after it that the new cut meets: the pattern looks at nothing before
+a pre-token and at one character after it, so what follows is unchanged. Only the leaves of that region
+are read and changed, and the sums above them; no edit copies the text.
 
 Trees are kept per text in the task that reads it; texts are read once, whole, without a shuffle.
-The vocabulary is read on the driver from a path that is a parameter, and sent to the tasks.
+Counts of pre-tokens of up to ``LONGEST`` characters are kept, in bounded memory, as long as the worker process
+lives. The vocabulary is read on the driver from a path that is a parameter, and sent to the tasks.
 
-Defined results: null counts as empty text with no tokens; edits are applied in the order given, each
+Defined results: null counts as empty text with no tokens; texts of any length are counted whole; an empty table gives an empty result; edits are applied in the order given, each
 on the result of the one before, with offsets clipped to the text; repeated rows, ids and extra
 columns play no part.
 """
@@ -17,6 +19,7 @@ columns play no part.
 from __future__ import annotations
 
 import base64
+import hashlib
 from collections.abc import Iterator
 from pathlib import Path
 
@@ -32,7 +35,9 @@ VOCABULARY = "/opt/tokenizers/byte_bpe_50k.tiktoken"
 # fixed value: the pre-token pattern of the vocabulary
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 LEAF = 32
-KEPT = 400_000
+KEPT = 200_000
+LONGEST = 64
+ROWS = 256  # of a batch that are worked on at once
 
 
 class Counter:
@@ -54,38 +59,72 @@ class Counter:
         for p in pretokens:
             n = known.get(p)
             if n is None:
-                n = known[p] = len(self.coder._encode_single_piece(p))
+                n = len(self.coder._encode_single_piece(p))
+                if len(p) <= LONGEST:
+                    known[p] = n
             out.append(n)
         return out
 
 
+_OWN: dict[str, Counter] = {}
+
+
+def counter_of(vocabulary: bytes) -> Counter:
+    """This process's counter for a vocabulary; one vocabulary at a time."""
+    name = hashlib.sha256(vocabulary).hexdigest()
+    if name not in _OWN:
+        _OWN.clear()
+        _OWN[name] = Counter(vocabulary)
+    return _OWN[name]
+
+
+class Leaf:
+    """A part of the text with its pre-tokens' sizes and token counts."""
+
+    __slots__ = ("text", "sizes", "counts")
+
+    def __init__(self, text: str, sizes: np.ndarray, counts: np.ndarray):
+        self.text, self.sizes, self.counts = text, sizes, counts
+
+
 class CountTree:
-    """A text with pre-token leaves and a segment tree of character and token sums."""
+    """A text in leaves of pre-tokens and a segment tree of character and token sums."""
 
     def __init__(self, counter: Counter, text: str):
-        self.counter, self.text, self.encoded = counter, text, 0
-        pretokens = counter.cut.findall(text)
-        sizes, counts = np.fromiter(map(len, pretokens), np.int64, len(pretokens)), np.array(counter.counts(pretokens), np.int64)
-        at = np.arange(0, len(pretokens), LEAF)
-        self.leaves = [(sizes[a : a + LEAF], counts[a : a + LEAF]) for a in at] or [(sizes, counts)]
+        self.counter, self.encoded = counter, 0
+        self.leaves = self._cut(counter.cut.findall(text))
         self._build()
 
+    def _cut(self, pretokens: list[str]) -> list[Leaf]:
+        sizes, counts = np.fromiter(map(len, pretokens), np.int64, len(pretokens)), np.array(self.counter.counts(pretokens), np.int64)
+        return [Leaf("".join(pretokens[a : a + LEAF]), sizes[a : a + LEAF], counts[a : a + LEAF]) for a in range(0, len(pretokens), LEAF)] or [Leaf("", sizes, counts)]
+
+    @property
+    def text(self) -> str:
+        return "".join(leaf.text for leaf in self.leaves)
+
+    @property
+    def size(self) -> int:
+        return int(self.sums[0, 1])
+
     def _build(self) -> None:
         self.width = 1 << max(0, (len(self.leaves) - 1).bit_length())
         self.sums = np.zeros((2, 2 * self.width), np.int64)
-        for i, (s, c) in enumerate(self.leaves):
-            self.sums[:, self.width + i] = s.sum(), c.sum()
-        for i in range(self.width - 1, 0, -1):
-            self.sums[:, i] = self.sums[:, 2 * i] + self.sums[:, 2 * i + 1]
+        self.sums[0, self.width : self.width + len(self.leaves)] = [len(leaf.text) for leaf in self.leaves]
+        self.sums[1, self.width : self.width + len(self.leaves)] = [int(leaf.counts.sum()) for leaf in self.leaves]
+        width = self.width
+        while width > 1:
+            width //= 2
+            self.sums[:, width : 2 * width] = self.sums[:, 2 * width : 4 * width : 2] + self.sums[:, 2 * width + 1 : 4 * width : 2]
 
     @property
     def tokens(self) -> int:
         return int(self.sums[1, 1])
 
-    def _set(self, leaf: int, sizes: np.ndarray, counts: np.ndarray) -> None:
-        self.leaves[leaf] = sizes, counts
-        i = self.width + leaf
-        self.sums[:, i] = sizes.sum(), counts.sum()
+    def _set(self, at: int, leaf: Leaf) -> None:
+        self.leaves[at] = leaf
+        i = self.width + at
+        self.sums[:, i] = len(leaf.text), leaf.counts.sum()
         while i > 1:
             i //= 2
             self.sums[:, i] = self.sums[:, 2 * i] + self.sums[:, 2 * i + 1]
@@ -104,51 +143,69 @@ class CountTree:
 
     def edit(self, start: int, end: int, new: str) -> None:
         """Replace the characters from ``start`` to ``end``."""
-        start = min(max(start, 0), len(self.text))
-        end = min(max(end, start), len(self.text))
+        start = min(max(start, 0), self.size)
+        end = min(max(end, start), self.size)
         first, begin = self._leaf_at(max(start - 1, 0))
-        bounds = begin + np.concatenate([[0], np.cumsum(self.leaves[first][0])])
-        k = int(np.searchsorted(bounds, start, side="left")) - 1  # pre-tokens before this one end clear of the edit
-        if k <= 0 and first:  # the one before the leaf may look into the edit
-            first -= 1
-            bounds = begin - self.leaves[first][0].sum() + np.concatenate([[0], np.cumsum(self.leaves[first][0])])
-            k = len(bounds) - 1
-        k = max(k - 1, 0)
+        while first and (k := int(np.searchsorted(np.cumsum(self.leaves[first].sizes), start - begin, side="left"))) < 2:
+            first -= 1  # the pre-token before the touched ones is in a leaf before; empty leaves are passed over
+            begin -= len(self.leaves[first].text)
+        head = self.leaves[first]
+        bounds = begin + np.concatenate([[0], np.cumsum(head.sizes)])
+        k = max(int(np.searchsorted(bounds, start, side="left")) - 2, 0)  # pre-tokens before this one end clear of the edit
+        # the old text from ``begin`` on, leaf after leaf as it is needed, and its pre-tokens' bounds
+        last, upto = first, begin + len(head.text)
+        parts, ends = [head.text], [bounds[1:]]
+
+        def more() -> bool:
+            nonlocal last, upto
+            if last + 1 == len(self.leaves):
+                return False
+            last += 1
+            leaf = self.leaves[last]
+            parts.append(leaf.text)
+            ends.append(upto + np.cumsum(leaf.sizes))
+            upto += len(leaf.text)
+            return True
+
+        while upto <= end and more():
+            pass
         shift = len(new) - (end - start)
-        self.text = self.text[:start] + new + self.text[end:]
-        # old boundaries behind the edit, as places in the new text, leaf after leaf
-        leaf, upto = first, int(bounds[-1])
-        old = {int(b) + shift for b in bounds if b >= end}
-        place, sizes = int(bounds[k]), []
-        while place < len(self.text) and not (place in old and place >= start + len(new)):
-            m = self.counter.cut.match(self.text, place)
-            sizes.append(m.end() - place)
-            place = m.end()
-            while place > upto + shift and leaf + 1 < len(self.leaves):
-                leaf += 1
-                own = upto + np.cumsum(self.leaves[leaf][0])
-                old |= {int(b) + shift for b in own if b >= end}
-                upto = int(own[-1]) if len(own) else upto
-        if place >= len(self.text):
-            leaf = len(self.leaves) - 1
+        while True:
+            old = "".join(parts)
+            region = old[: start - begin] + new + old[end - begin :]
+            after = np.concatenate(ends)
+            kept = set((after[after >= end] + shift - begin).tolist())
+            place, sizes = int(bounds[k]) - begin, []
+            least = start + len(new) - begin
+            whole = last + 1 == len(self.leaves)
+            # a cut at the region's end may look at what follows, so it counts only where nothing does
+            while place < len(region) and not (place in kept and place >= least and (place < len(region) or whole)):
+                m = self.counter.cut.match(region, place)
+                sizes.append(m.end() - place)
+                place = m.end()
+            if whole or (place < len(region) and place in kept and place >= least):
+                break
+            for _ in range(max(1, last - first)):  # twice as many leaves
+                more()
         self.encoded += len(sizes)
-        texts, at = [], int(bounds[k])
+        texts, at = [], int(bounds[k]) - begin
         for s in sizes:
-            texts.append(self.text[at : at + s])
+            texts.append(region[at : at + s])
             at += s
-        head, tail = self.leaves[first], self.leaves[leaf]
-        tail_ends = (upto if leaf < len(self.leaves) - 1 or place < len(self.text) else len(self.text) - shift) - int(tail[0].sum()) + np.cumsum(tail[0]) + shift
-        rest = tail_ends > place if place < len(self.text) else np.zeros(len(tail[0]), bool)
-        new_sizes = np.concatenate([head[0][:k], np.array(sizes, np.int64), tail[0][rest]])
-        new_counts = np.concatenate([head[1][:k], np.array(self.counter.counts(texts), np.int64), tail[1][rest]])
-        if len(new_sizes) > 4 * LEAF or leaf - first > 64:  # too much in one leaf: cut anew
-            cuts = range(0, max(len(new_sizes), 1), LEAF)
-            self.leaves[first : leaf + 1] = [(new_sizes[a : a + LEAF], new_counts[a : a + LEAF]) for a in cuts]
+        counts = np.concatenate([leaf.counts for leaf in self.leaves[first : last + 1]])
+        every = np.concatenate([leaf.sizes for leaf in self.leaves[first : last + 1]])
+        rest = (after + shift - begin > place) & (after >= end)
+        new_sizes = np.concatenate([every[:k], np.array(sizes, np.int64), every[rest]])
+        new_counts = np.concatenate([counts[:k], np.array(self.counter.counts(texts), np.int64), counts[rest]])
+        if len(new_sizes) > 4 * LEAF or last - first > 64:  # too much in one leaf: cut anew
+            at = np.concatenate([[0], np.cumsum(new_sizes)])
+            self.leaves[first : last + 1] = [Leaf(region[at[a] : at[min(a + LEAF, len(new_sizes))]], new_sizes[a : a + LEAF], new_counts[a : a + LEAF]) for a in range(0, max(len(new_sizes), 1), LEAF)]
             self._build()
             return
-        self._set(first, new_sizes, new_counts)
-        for i in range(first + 1, leaf + 1):
-            self._set(i, np.zeros(0, np.int64), np.zeros(0, np.int64))
+        self._set(first, Leaf(region, new_sizes, new_counts))
+        none = np.zeros(0, np.int64)
+        for i in range(first + 1, last + 1):
+            self._set(i, Leaf("", none, none))
 
 
 _NUMBER = regex.compile(r"[0-9]{6,}")
@@ -162,12 +219,12 @@ def redactions(text: str) -> list[tuple[int, int, str]]:
 
 def _run(vocabulary, edits_of):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counter = Counter(vocabulary.value)
-        for batch in batches:
+        counter = counter_of(vocabulary.value)
+        for batch in (whole.slice(a, ROWS) for whole in batches for a in range(0, whole.num_rows, ROWS)):
             rows: list[list[int]] = [[], [], [], [], []]
             for text in batch.column("text").to_pylist():
                 tree = CountTree(counter, text or "")
-                before, pretokens = tree.tokens, sum(len(s) for s, _ in tree.leaves)
+                before, pretokens = tree.tokens, sum(len(leaf.sizes) for leaf in tree.leaves)
                 edits = edits_of(text or "")
                 for e in edits:
                     tree.edit(*e)

@@ -543,3 +543,29 @@ def np_list(path):
     import numpy as np
 
     return np.frombuffer(path, "<i4").tolist()
+
+
+def test_many_edits_of_a_long_text_cost_their_regions():
+    import time
+    from pathlib import Path
+
+    counter = tokencount.Counter(Path(tokencount.VOCABULARY).read_bytes())
+    text = "call 12345678 or write, thanks " * 30_000
+    began = time.time()
+    tree = tokencount.CountTree(counter, text)
+    for e in tokencount.redactions(text):
+        tree.edit(*e)
+    assert time.time() - began < 60
+    expected = "# text\n" + re.sub("[0-9]{6,}", "<number>", text) + "\n"
+    assert tree.text == expected and tree.tokens == len(counter.coder.encode_ordinary(expected))
+
+
+def test_index_is_dense_for_sparse_ids(spark):
+    rows = spark.createDataFrame([(i * 10**12, f"token = abcdef{i} AKIA" + "B" * 20) for i in range(200)], "doc_id long, text string")
+    queries = {r.kind: secrets.trigram_query(r.pattern) for r in secrets.RULES if secrets.trigram_query(r.pattern) != secrets.ANY}
+    trigrams = sorted({t for q in queries.values() for c in q for t in c})
+    index = secrets.build_index(secrets.numbered(rows), trigrams)
+    assert index.select("file", "block").distinct().count() <= 8 and index.agg(F.sum(F.length("ids"))).first()[0] < 8 * 40 * 4096
+    for t in trigrams:
+        assert [m.group(1) for m in re.finditer(re.sub(r"\\x\{([0-9a-f]+)\}", lambda m: re.escape(chr(int(m.group(1), 16))), secrets.any_of(trigrams)), "x" + t + t)].count(t) >= 1
+    assert secrets.scan(rows).filter("size(spans) = 2").count() == 200
