@@ -4,8 +4,7 @@
    must contain (case folded): literal runs give conjunctions, alternatives disjunctions. A rule
    without mandatory trigrams has no query.
 2. The index has, for each trigram that a query names and each block of 32,768 rows, a bitmap of
-   the rows whose text contains it. All trigrams of a text are found in one pass, by one expression
-   that looks ahead at every place for any of them. Rows are numbered by their place in their file, which
+   the rows whose text contains it. Rows are numbered by their place in their file, which
    is dense whatever the ids are; a table that is not files is written once first. Queries are evaluated on the postings: bitmaps of a conjunction are
    intersected, those of its alternatives united.
 3. Rules verify their candidates by their regular expression, leftmost and without overlap; rules
@@ -122,17 +121,6 @@ def _quoted(s: str) -> str:
     return "'" + s.replace("\\", "\\\\").replace("'", "\\'") + "'"
 
 
-def any_of(trigrams: list[str]) -> str:
-    """A regular expression that captures, at any place and without moving on, the listed trigram that begins there."""
-    tree: dict = {}
-    for t in trigrams:
-        tree.setdefault(t[0], {}).setdefault(t[1], []).append(t[2])
-    quote = lambda c: "\\x{%x}" % ord(c)
-    one = lambda cs: "[" + "".join(map(quote, sorted(cs))) + "]"
-    pairs = lambda own: "|".join(quote(b) + one(cs) for b, cs in sorted(own.items()))
-    return f"(?=({'|'.join(quote(a) + '(?:' + pairs(own) + ')' for a, own in sorted(tree.items()))})){one(tree)}"
-
-
 def numbered(docs: DataFrame) -> DataFrame:
     """(doc_id, text, file, block, bit): every row's dense place, by its number in its file."""
     try:
@@ -144,8 +132,9 @@ def numbered(docs: DataFrame) -> DataFrame:
 
 def build_index(rows: DataFrame, trigrams: list[str]) -> DataFrame:
     """(trigram, file, block, ids): bitmaps of the rows whose text contains the trigram, over all rows."""
-    present = F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(any_of(trigrams)), F.lit(1)))
-    posting = rows.select("file", "block", "bit", F.explode(present).alias("trigram"))
+    folded = rows.select("file", "block", "bit", F.lower("text").alias("folded"))
+    present = F.array_compact(F.array(*[F.when(F.contains("folded", F.lit(t)), F.lit(t)) for t in trigrams]))
+    posting = folded.select("file", "block", "bit", F.explode(present).alias("trigram"))
     return posting.groupBy("trigram", "file", "block").agg(F.bitmap_construct_agg("bit").alias("ids"))
 
 
