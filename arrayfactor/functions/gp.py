@@ -11,7 +11,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 
-from .kernels import Kernel, covariance, row_gradient
+from .kernels import Kernel, covariance, diagonal, row_gradient
 from .normal import hazard, log_cdf
 
 
@@ -123,16 +123,25 @@ def infer(rows: list[np.ndarray], y: np.ndarray, kernel: Kernel, likelihood: str
     return ESTEPS[likelihood](y, spec, **options), spec
 
 
+def contracted(block: np.ndarray, rows: list[np.ndarray], step: int = 1024) -> np.ndarray:
+    """For each point, the block contracted with the point's row of every mode; a bounded number of points at once."""
+    out = np.zeros(len(rows[0]))
+    for a in range(0, len(out), step):
+        x = rows[0][a : a + step] @ block.reshape(block.shape[0], -1)
+        for r in rows[1:]:
+            own = r[a : a + step]
+            x = np.matmul(own[:, None, :], x.reshape(len(own), own.shape[1], -1))[:, 0, :]
+        out[a : a + step] = x[:, 0]
+    return out
+
+
 def predictive(points: list[np.ndarray], rows: list[np.ndarray], post: Posterior, spec: Spectrum, kernel: Kernel) -> tuple[np.ndarray, np.ndarray]:
     """Mean and variance at new index tuples: one row of factors for each mode and point."""
     cross = [covariance(p, u, kernel) for p, u in zip(points, rows, strict=True)]
-    letters = "abcdefgh"[: len(rows)]
-    expr = ",".join(f"n{c}" for c in letters)
-    mean = np.einsum(f"{letters},{expr}->n", post.alpha, *cross, optimize=True)
+    mean = contracted(post.alpha, cross)
     rotated = [(c @ v) ** 2 for c, v in zip(cross, spec.vectors, strict=True)]
-    prior = np.prod([np.array([covariance(p[i : i + 1], p[i : i + 1], kernel)[0, 0] for i in range(len(p))]) for p in points], axis=0)
-    used = np.einsum(f"{letters},{expr}->n", 1 / (post.noise + spec.joint), *rotated, optimize=True)
-    return mean, np.maximum(prior - used, 0.0)
+    prior = np.prod([diagonal(p, kernel) for p in points], axis=0)
+    return mean, np.maximum(prior - contracted(1 / (post.noise + spec.joint), rotated), 0.0)
 
 
 class ShardState:
@@ -140,10 +149,14 @@ class ShardState:
 
     The prior pulls every row back a little at every step. For rows outside the current subarray
     that pull is a constant factor a step, so it is applied in one go when the row is next needed.
+    Gradient rows longer than ``clip`` are shortened to it; with ``by_row`` a row's gradient is divided by
+    the root of the sum of its squared norms so far in the pass.
     """
 
-    def __init__(self, parent, steps: int, rate: float, variance: float):
+    def __init__(self, parent, steps: int, rate: float, variance: float, clip: float = 5.0, by_row: bool = False):
         self.parent, self.rate, self.steps, self.variance = parent, rate, max(steps, 1), variance
+        self.clip, self.by_row = clip, by_row
+        self.squares: dict[tuple[int, int], float] = {}
         self.pull = rate / (variance * self.steps) if np.isfinite(variance) else 0.0
         self.deviation: dict[tuple[int, int], np.ndarray] = {}
         self.seen: dict[tuple[int, int], int] = {}
@@ -166,12 +179,17 @@ class ShardState:
             self.seen[key] = self.now
         return self.deviation[key]
 
-    def step(self, sets, gradients: list[np.ndarray], clip: float = 5.0) -> None:
+    def step(self, sets, gradients: list[np.ndarray], plain: bool = False) -> None:
+        """Move the rows of one subarray; ``plain`` steps are taken as they are."""
         for mode, (index, grad) in enumerate(zip(sets, gradients, strict=True)):
-            norm = np.linalg.norm(grad, axis=1, keepdims=True)
-            grad = grad * np.minimum(1.0, clip / np.maximum(norm, 1e-12))
+            if not plain:
+                norm = np.linalg.norm(grad, axis=1, keepdims=True)
+                grad = grad * np.minimum(1.0, self.clip / np.maximum(norm, 1e-12))
             for i, g in zip(index, grad, strict=True):
                 key = (mode, int(i))
+                if self.by_row and not plain:
+                    self.squares[key] = self.squares.get(key, 0.0) + float(g @ g)
+                    g = g / np.sqrt(self.squares[key] + 1e-8)
                 old = self.settled(key) if key in self.deviation else np.zeros_like(g)
                 self.deviation[key] = old * (1 - self.pull) + (self.rate * g if self.variance > 0 else 0 * g)
                 self.seen[key] = self.now + 1

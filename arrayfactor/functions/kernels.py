@@ -45,6 +45,14 @@ def covariance(u: np.ndarray, v: np.ndarray, k: Kernel, same: bool = False) -> n
     return out + k.nugget * np.eye(len(u)) if same else out
 
 
+def diagonal(u: np.ndarray, k: Kernel) -> np.ndarray:
+    """k of every row of u with itself."""
+    if k.kind in ("linear", "poly"):
+        dot = (u * u).sum(1)
+        return k.amplitude**2 * dot + k.offset if k.kind == "linear" else (k.gamma * dot + k.offset) ** k.power
+    return np.full(len(u), k.amplitude**2)
+
+
 def row_gradient(u: np.ndarray, g: np.ndarray, k: Kernel) -> np.ndarray:
     """Gradient by the rows of u of a function whose gradient by covariance(u, u) is g."""
     g = g + g.T
@@ -83,7 +91,10 @@ def kernel_expr(x: Column, y: Column, k: Kernel) -> Column:
     return F.lit(k.amplitude**2) * out
 
 
-def kernel_table(vectors: DataFrame, k: Kernel) -> DataFrame:
-    """(a, b, k) over all pairs of a small set of (id, vec); the set is one subarray's rows."""
-    left, right = vectors.select(F.col("id").alias("a"), F.col("vec").alias("x")), vectors.select(F.col("id").alias("b"), F.col("vec").alias("y"))
-    return left.join(F.broadcast(right), F.lit(True)).select("a", "b", kernel_expr(F.col("x"), F.col("y"), k).alias("k"))
+def kernel_table(vectors: DataFrame, k: Kernel, of: DataFrame | None = None) -> DataFrame:
+    """(a, b, k) of the vectors (id, vec) of a stated set ``of`` (all, for one subarray's rows) with every vector.
+
+    The stated set is the side that is sent; it is small or given in blocks.
+    """
+    right, left = vectors.select(F.col("id").alias("b"), F.col("vec").alias("y")), (vectors if of is None else of).select(F.col("id").alias("a"), F.col("vec").alias("x"))
+    return right.join(F.broadcast(left), F.lit(True)).select("a", "b", kernel_expr(F.col("x"), F.col("y"), k).alias("k"))

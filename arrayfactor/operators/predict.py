@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator, Sequence
 
 import numpy as np
@@ -19,21 +20,26 @@ BAGS_LIMIT = 512_000_000
 
 
 def fit_bags(model: Model, arr: DataFrame, plan: DataFrame, sizes: Sequence[int]) -> list[tuple]:
-    """(rows, posterior, spectrum) of each bag; there are few, of the size of a subarray each."""
+    """(rows, posterior, spectrum) of each bag; there are few, of the size of a subarray each, inferred in one task a bag."""
     from .train import _with_rows
 
     p = model.params
     options = {"sweeps": p.sweeps, "offset": p.offset} if p.likelihood == "binary" else {}
-    out = []
-    for row in _with_rows(blocks(arr, plan, sizes, 1), model.factors).orderBy("sub_id").toLocalIterator():
-        rows = [np.array(r) for r in row.rows]
-        y = densify(row.lin, row.y, [len(s) for s in row.sets])
-        post, spec = gp.infer(rows, y, p.kernel, p.likelihood, **options)
-        out.append((rows, post, spec))
-    size = sum(post.alpha.nbytes + spec.joint.nbytes for _, post, spec in out)
+    bags = plan.select("sub_id").distinct().count()
+    size = 24 * bags * int(np.prod(sizes))
     if size > BAGS_LIMIT:
         raise ValueError(f"bags take {size} bytes; draw fewer or smaller ones")
-    return out
+
+    def infer(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for frame in frames:
+            for row in frame.itertuples(index=False):
+                rows = [np.array([np.asarray(v) for v in r]) for r in row.rows]
+                y = densify(row.lin, row.y, [len(s) for s in row.sets])
+                post, spec = gp.infer(rows, y, p.kernel, p.likelihood, **options)
+                yield pd.DataFrame({"sub_id": [row.sub_id], "bag": [pickle.dumps((rows, post, spec))]})
+
+    own = _with_rows(blocks(arr, plan, sizes, max(bags, 1)), model.factors).repartitionById(max(bags, 1), "shard")
+    return [pickle.loads(r.bag) for r in own.mapInPandas(infer, "sub_id long, bag binary").orderBy("sub_id").collect()]
 
 
 def predict(model: Model, arr: DataFrame, cells: DataFrame, plan: DataFrame, sizes: Sequence[int], rule: str = "mean") -> DataFrame:
@@ -71,11 +77,10 @@ def predict_containing(model: Model, arr: DataFrame, cells: DataFrame, plan: Dat
     modes, p = order_of(cells), model.params
     names = [f"i{k}" for k in range(1, modes + 1)]
     numbered = cells.withColumn("batch", F.floor((F.row_number().over(Window.partitionBy(F.pmod(F.xxhash64(*names), F.lit(64))).orderBy(*names)) - 1) / batch) * 64 + F.pmod(F.xxhash64(*names), F.lit(64)))
-    base = plan.sparkSession.sparkContext.broadcast({r.sub_id: r.sets for r in blocks(arr, plan, sizes, 1).select("sub_id", "sets").collect()})
-    bags = plan.select("sub_id").distinct()
+    bags = blocks(arr, plan, sizes, 1).select("sub_id", F.col("sets").alias("drawn"))
     wanted = numbered.groupBy("batch").agg(F.collect_list(F.struct(*names)).alias("cells")).join(F.broadcast(bags), F.lit(True))
-    index = F.udf(lambda sub, got: [sorted(set(base.value[sub][k]) | {c[k] for c in got}) for k in range(modes)], "array<array<long>>")
-    enlarged = wanted.withColumn("unit", F.xxhash64("batch", "sub_id")).withColumn("sets", index("sub_id", "cells"))
+    index = F.array(*[F.array_sort(F.array_union(F.get("drawn", F.lit(k)), F.transform("cells", lambda c, k=k: c[names[k]]))) for k in range(modes)])
+    enlarged = wanted.withColumn("unit", F.xxhash64("batch", "sub_id")).withColumn("sets", index)
     long = enlarged.select("unit", F.posexplode("sets").alias("k", "set")).select(F.col("unit").alias("sub_id"), (F.col("k") + 1).alias("mode"), F.posexplode("set").alias("pos", "idx")).withColumn("pos", F.col("pos") + 1)
     inside = arr
     for n, k in enumerate(sorted(range(1, modes + 1), key=lambda k: -sizes[k - 1])):

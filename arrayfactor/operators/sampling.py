@@ -147,10 +147,12 @@ def subarrays_for_coverage(sizes: Sequence[int], cells: float, coverage: float =
 
 
 def assign_shards(plan: DataFrame, shards: int, seed: int = 0) -> DataFrame:
-    """(sub_id, shard) with equal counts: subarrays in hash order, dealt in turn."""
-    subs = plan.select("sub_id").distinct()
-    rank = F.row_number().over(Window.orderBy(F.md5(keyed(seed, F.col("sub_id")).cast("binary")), "sub_id"))
-    return subs.select("sub_id", F.pmod(rank - 1, F.lit(shards)).cast("int").alias("shard"))
+    """(sub_id, shard) with equal counts: subarrays in hash order, dealt in turn; ranked inside ranges of the hash."""
+    hashed = plan.select("sub_id").distinct().withColumn("h", F.md5(keyed(seed, F.col("sub_id")).cast("binary"))).withColumn("range", F.substring("h", 1, 2))
+    sizes = hashed.groupBy("range").agg(F.count("*").alias("n"))  # 256 rows at most
+    ahead = sizes.select("range", (F.sum("n").over(Window.orderBy("range")) - F.col("n")).alias("ahead"))
+    rank = F.col("ahead") + F.row_number().over(Window.partitionBy("range").orderBy("h", "sub_id"))
+    return hashed.join(F.broadcast(ahead), "range").select("sub_id", F.pmod(rank - 1, F.lit(shards)).cast("int").alias("shard"))
 
 
 def extract(arr: DataFrame, plan: DataFrame, sizes: Sequence[int]) -> DataFrame:
@@ -170,12 +172,11 @@ def extract(arr: DataFrame, plan: DataFrame, sizes: Sequence[int]) -> DataFrame:
 
 
 def blocks(arr: DataFrame, plan: DataFrame, sizes: Sequence[int], shards: int, seed: int = 0) -> DataFrame:
-    """(shard, sub_id, sets, lin, y): one row a subarray; subarrays without nonzeros are there as well."""
+    """(shard, sub_id, sets, lin, y): one row a subarray, dealt to shards in equal numbers; subarrays without nonzeros are there as well."""
     own = plan.groupBy("sub_id", "mode").agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "idx"))), lambda x: x["idx"]).alias("set"))
     sets = own.groupBy("sub_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("mode", "set"))), lambda x: x["set"]).alias("sets"))
     found = extract(arr, plan, sizes).groupBy("sub_id").agg(F.array_sort(F.collect_list(F.struct("lin", "y"))).alias("cells"))
-    shard = F.pmod(F.xxhash64(F.lit(seed), "sub_id"), F.lit(shards)).cast("int")
-    joined = sets.join(found, "sub_id", "left").withColumn("cells", F.coalesce("cells", F.array().cast("array<struct<lin:int,y:double>>")))
+    joined = sets.join(assign_shards(plan, shards, seed), "sub_id").join(found, "sub_id", "left").withColumn("cells", F.coalesce("cells", F.array().cast("array<struct<lin:int,y:double>>")))
 
     def place(lin):
         """The cell's place in the subarray's own shape: a grid's last segments are shorter."""
@@ -185,7 +186,7 @@ def blocks(arr: DataFrame, plan: DataFrame, sizes: Sequence[int], shards: int, s
             out = out * F.size(F.get("sets", F.lit(k))) + F.pmod(F.floor(lin / inner), F.lit(side))
         return out.cast("int")
 
-    return joined.select(shard.alias("shard"), "sub_id", "sets", F.transform("cells", lambda c: place(c["lin"])).alias("lin"), F.transform("cells", lambda c: c["y"]).alias("y"))
+    return joined.select("shard", "sub_id", "sets", F.transform("cells", lambda c: place(c["lin"])).alias("lin"), F.transform("cells", lambda c: c["y"]).alias("y"))
 
 
 def coverage(arr: DataFrame, plan: DataFrame, sizes: Sequence[int]) -> DataFrame:

@@ -38,7 +38,8 @@ class TrainParams:
     laplace_scale: float = 0.0
     schedule: str = "all"  # or "slice": a round sees its share of the subarrays
     optimizer: str = "sgd"  # or "lbfgs"
-    decay_rate: str = "fixed"  # or "sqrt": the rate falls with the root of the round
+    decay_rate: str = "fixed"  # or "sqrt": the rate falls with the root of the round; "rows": with a row's gradients in a pass
+    clip: float = 5.0  # gradient rows longer than this are shortened to it; infinite for none
     offset: float = 0.0  # constant mean of binary cells
     init_scale: float = 0.5
     seed: int = 7
@@ -118,7 +119,7 @@ def shard_pass(frames: Iterator[pd.DataFrame], parent, p: TrainParams, round_: i
                 if state is not None:
                     yield finish()
                 shard, bound, seen, began = int(row.shard), 0.0, 0, time.time()
-                state = gp.ShardState(parent(row) if callable(parent) and getattr(parent, "per_row", False) else parent, counts.get(shard, 1), rate, p.variance)
+                state = gp.ShardState(parent(row) if callable(parent) and getattr(parent, "per_row", False) else parent, counts.get(shard, 1), rate, p.variance, p.clip, p.decay_rate == "rows")
             if getattr(parent, "per_row", False):
                 state.parent = parent(row)
             sets = [np.asarray(s, np.int64) for s in row.sets]
@@ -133,7 +134,7 @@ def shard_pass(frames: Iterator[pd.DataFrame], parent, p: TrainParams, round_: i
 
                 moved = _lbfgs(rows, objective)
                 post, _ = gp.infer(moved, y, p.kernel, p.likelihood, **options)
-                state.step(sets, [(a - b) / max(rate, 1e-12) for a, b in zip(moved, rows, strict=True)], clip=np.inf)
+                state.step(sets, [(a - b) / max(rate, 1e-12) for a, b in zip(moved, rows, strict=True)], plain=True)
             else:
                 post, spec = gp.infer(rows, y, p.kernel, p.likelihood, **options)
                 state.step(sets, gp.factor_gradients(rows, post, spec, p.kernel))
@@ -186,15 +187,15 @@ def _with_rows(blocks: DataFrame, factors: DataFrame) -> DataFrame:
 def shard_deltas(blocks: DataFrame, factors: DataFrame, p: TrainParams, round_: int, array_sizes: Sequence[int], shards: int, ship: str = "auto") -> DataFrame:
     """Changes of touched rows after one pass of every shard over its subarrays in a fresh random order."""
     spark = blocks.sparkSession
-    counts = {r.shard: r["count"] for r in blocks.groupBy("shard").count().collect()}  # one row a shard
     order = F.md5(keyed(p.seed, round_, F.col("sub_id")).cast("binary"))
     own = blocks.filter(F.pmod(F.xxhash64("sub_id"), F.lit(p.rounds)) == round_ % p.rounds) if p.schedule == "slice" else blocks
+    counts = {r.shard: r["count"] for r in own.groupBy("shard").count().collect()}  # of the round's own subarrays, one row a shard
     small = factor_bytes(array_sizes, p.ranks) <= BROADCAST_BYTES
     if ship == "broadcast" or (ship == "auto" and small):
         parent = _Broadcast(spark.sparkContext.broadcast(as_arrays(factors, array_sizes, p.ranks)))
     else:
         own, parent = _with_rows(own, factors), _Joined()
-    dealt = own.withColumn("ord", order).repartition(shards, "shard").sortWithinPartitions("shard", "ord").drop("ord")
+    dealt = own.withColumn("ord", order).repartitionById(shards, "shard").sortWithinPartitions("shard", "ord").drop("ord")
     return dealt.mapInPandas(lambda frames: shard_pass(frames, parent, p, round_, counts), DELTAS)
 
 
@@ -227,10 +228,11 @@ def fit(blocks: DataFrame, array_sizes: Sequence[int], p: TrainParams, shards: i
     for round_ in range(1, p.rounds + 1):
         began = time.time()
         deltas = checkpointed(shard_deltas(blocks, factors, p, round_, array_sizes, shards, ship), "deltas")
+        passed = time.time()
         told = deltas.groupBy("shard").agg(F.first("bound").alias("bound"), F.first("subarrays").alias("subarrays"), F.count("*").alias("rows"), F.sqrt(F.sum(F.aggregate("delta", F.lit(0.0), lambda a, v: a + v * v))).alias("norm")).agg(F.sum("bound").alias("bound"), F.sum("subarrays").alias("subarrays"), F.sum("rows").alias("rows"), F.avg("norm").alias("norm")).first()
         scale = p.laplace_scale * p.variance / shards
         factors = checkpointed(merge_factors(factors, deltas, shards, p.merge, scale), "factors")
-        history.append({"round": round_, "bound": float((told.bound or 0.0) / max(told.subarrays or 1, 1)), "rows_touched": int(told.rows or 0), "subarrays": int(told.subarrays or 0), "coverage": share * int(told.subarrays or 0) / max(every, 1), "delta_norm": float(told.norm or 0.0), "seconds": time.time() - began})
+        history.append({"round": round_, "bound": float((told.bound or 0.0) / max(told.subarrays or 1, 1)), "rows_touched": int(told.rows or 0), "subarrays": int(told.subarrays or 0), "coverage": share * int(told.subarrays or 0) / max(every, 1), "delta_norm": float(told.norm or 0.0), "seconds": time.time() - began, "pass_s": passed - began, "merge_s": time.time() - passed})
     return Model(factors, history, p, tuple(array_sizes))
 
 

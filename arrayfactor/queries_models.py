@@ -111,11 +111,11 @@ def bound_history(spark: SparkSession, sf: str) -> DataFrame:
     return _history(spark, models)
 
 
-def _held(arr: DataFrame, sizes: list[int], seed: int = 4, zero_share: float = 0.02) -> tuple[DataFrame, DataFrame]:
-    """One fold held out, with a share of the zeros."""
+def _held(arr: DataFrame, sizes: list[int], seed: int = 4, zero_share: float = 0.02, fold: int = 0) -> tuple[DataFrame, DataFrame]:
+    """One fold of five held out, with a share of the zeros."""
     folds = protocol.kfold(arr, 5, seed)
-    test = folds.filter("fold = 0").drop("fold").unionByName(protocol.zeros_by_share(arr, sizes, zero_share, seed))
-    return checkpointed(folds.filter("fold > 0").drop("fold"), "train"), checkpointed(test, "test")
+    test = folds.filter(F.col("fold") == fold).drop("fold").unionByName(protocol.zeros_by_share(arr, sizes, zero_share, seed))
+    return checkpointed(folds.filter(F.col("fold") != fold).drop("fold"), "train"), checkpointed(test, "test")
 
 
 @query("predict_bagged")
@@ -137,9 +137,9 @@ def predict_containing(spark: SparkSession, sf: str) -> DataFrame:
     return predict.predict_containing(model, known, test, bags, sides)
 
 
-def compared(spark: SparkSession, name: str, arr: DataFrame, sizes: list[int], sides: list[int], rank: int = 3, rounds: int = 5, count: int | None = 40, bags: int = 6, multilinear: bool = True, kernel: Kernel | None = None) -> list[tuple]:
+def compared(spark: SparkSession, name: str, arr: DataFrame, sizes: list[int], sides: list[int], rank: int = 3, rounds: int = 5, count: int | None = 40, bags: int = 6, multilinear: bool = True, kernel: Kernel | None = None, fold: int = 0, zero_share: float = 0.02) -> list[tuple]:
     """(workload, method, auc, seconds) of every method on one held-out fold."""
-    known, test = _held(arr, sizes)
+    known, test = _held(arr, sizes, zero_share=zero_share, fold=fold)
     sides = [min(s, m) for s, m in zip(sides, sizes, strict=True)]
     kernel = kernel or Kernel("rbf", scale=1.0)
     modes = len(sizes)
@@ -198,11 +198,94 @@ def aucs_linear_twin(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame(compared(spark, "linear", arr, [18, 18, 18], [12, 12, 12], count=24, rounds=3), AUCS)
 
 
+ON_SETS = "workload string, method string, rank int, auc double, sd_auc double, sets long, train_s double, bound double"
+
+
+def compared_on_sets(spark: SparkSession, name: str, arr: DataFrame, sizes: list[int], rank: int, ones: int, zeros: int, sets: int = 50, side: int = 50, rounds: int = 5, bags: int = 10) -> list[tuple]:
+    """The large-data comparison: four fifths of the nonzeros train, test sets come from the rest and the zeros.
+
+    Every method goes ``rounds`` times over as many cells as the array has (subarrays to coverage 1,
+    or sweeps over all nonzeros). Binary cells have the base rate's probit as their mean, and a row's
+    step is divided by the root of its squared gradients; both are the same for every sampling.
+    """
+    from statistics import NormalDist
+
+    known, tests = (checkpointed(df, "split") for df in protocol.holdout_sets(arr, sizes, 0.8, sets, ones, zeros, 4))
+    sides, modes = [min(side, m) for m in sizes], len(sizes)
+    at = [f"i{k}" for k in range(1, modes + 1)]
+    cells = checkpointed(tests.select(*at).distinct(), "cells")
+    base = NormalDist().inv_cdf(known.count() / math.prod(sizes))
+    p = train.TrainParams(ranks=(rank,) * modes, rounds=rounds, rate=0.3, decay_rate="rows", kernel=Kernel("matern32", scale=1.5), sweeps=8, offset=base, init_scale=0.3)
+    out = []
+
+    def note(method: str, took: float, scored: DataFrame, bound: float | None = None) -> None:
+        value = measures.summarize(measures.auc(tests.join(scored.select(*at, "score"), at), ["set_id"])).first()
+        out.append((name, method, rank, value.mean_auc, value.sd_auc, value.runs, took, bound))
+
+    for how in ("uniform", "weighted", "grid"):
+        began = time.time()
+        model = fitted(known, sizes, how, p, count=None, sides=tuple(sides), shards=8)
+        took = time.time() - began
+        plan = checkpointed(draw_plan(known, sizes, "uniform", bags, sides, seed=77), "bags")
+        note(f"local-gp-{how}", took, checkpointed(predict.predict(model, known, cells, plan, sides).withColumnRenamed("mean", "score"), "scored"), model.history[-1]["bound"])
+    began = time.time()
+    factors = baselines.sparse_cp(known, sizes, rank, rounds)
+    note("sparse-cp", time.time() - began, checkpointed(arrays.cp_cells(cells, factors, rank).withColumnRenamed("value", "score"), "scored"))
+    note("degree", 0.0, checkpointed(baselines.degree_score(cells, arrays.slice_weights(known)), "scored"))
+    return out
+
+
 @query("aucs_triples")
 def aucs_triples(spark: SparkSession, sf: str) -> DataFrame:
-    """The text triples: the method's three samplings against the sparse distributed baseline."""
+    """The text triples: the method's three samplings against the sparse distributed baseline on 50 test sets."""
     arr, sizes = _triples(spark, sf)
-    return spark.createDataFrame(compared(spark, "triples", arr, sizes, [24, 24, 24], count=None, multilinear=False, kernel=Kernel("matern32", scale=1.5)), AUCS)
+    return spark.createDataFrame(compared_on_sets(spark, "triples", arr, sizes, 5, 200, 2000), ON_SETS)
+
+
+@query("aucs_log")
+def aucs_log(spark: SparkSession, sf: str) -> DataFrame:
+    """The access log likewise, with ten factors; its table is uniform random, so 0.5 is the right answer."""
+    arr = w.stored_log(spark, sf)
+    return spark.createDataFrame(compared_on_sets(spark, "log", arr, w.sizes_of(arr), 10, 200, 2000), ON_SETS)
+
+
+def _folds(spark: SparkSession, name: str, arr: DataFrame, modes: list[str], sides: list[int], rank: int = 3) -> list[tuple]:
+    """Every method on each of five folds with 0.1 % of the zeros (2,000 at least): (workload, method, fold, auc, seconds)."""
+    arr = checkpointed(arrays.encode(arr, arrays.mode_dictionary(arr, modes), modes).withColumn("y", F.lit(1.0)), name)
+    sizes = w.sizes_of(arr)
+    share = max(0.001, 2000 / math.prod(sizes))
+    return [(*row[:2], fold, *row[2:]) for fold in range(5) for row in compared(spark, name, arr, sizes, sides, rank=rank, rounds=2, count=24, bags=4, fold=fold, zero_share=min(share, 0.5))]
+
+
+FOLDS = "workload string, method string, fold int, auc double, seconds double"
+
+
+@query("aucs_4way")
+def aucs_4way(spark: SparkSession, sf: str) -> DataFrame:
+    """The small-data study on four modes, all folds; the tables are uniform random, so 0.5 is the right answer."""
+    modes = ["c_nationkey", "p_brand", "p_type", "s_nationkey"]
+    rows = _folds(spark, "trade4", arrays.build_array(w.nation_records(spark, sf), modes), modes, [10, 10, 6, 10])
+    return spark.createDataFrame(rows, FOLDS).groupBy("workload", "method").agg(F.avg("auc").alias("mean_auc"), F.stddev_samp("auc").alias("sd_auc"), F.count("auc").alias("folds"), F.avg("seconds").alias("seconds"))
+
+
+@query("machine_scaling")
+def machine_scaling(spark: SparkSession, sf: str) -> DataFrame:
+    """Measured seconds of one pass over the same subarrays of the largest array, dealt to 1, 2 and 4 shards at once."""
+    modes = ["o_custkey", "l_partkey", "l_suppkey"]
+    arr = arrays.build_array(w.order_lines(spark, sf), modes)
+    arr = checkpointed(arrays.encode(arr, arrays.mode_dictionary(arr, modes), modes), "giant")
+    sizes = w.sizes_of(arr)
+    sides = [min(50, m) for m in sizes]
+    p = small_params(ranks=(5, 5, 5), rounds=1, kernel=Kernel("matern32", scale=1.5))
+    plan = checkpointed(draw_plan(arr, sizes, "uniform", 48, sides), "plan")
+    start = checkpointed(train.initial_factors(spark, sizes, p), "factors")
+    times = []
+    for n in (1, 2, 4):
+        cut = checkpointed(sampling.blocks(arr, plan, sides, n), "blocks")
+        began = time.time()
+        checkpointed(train.shard_deltas(cut, start, p, 1, sizes, n), "deltas")
+        times.append((n, time.time() - began))
+    return measures.scaling_curve(spark.createDataFrame(times, "machines int, seconds double"), 1)
 
 
 def _fit_rows(spark: SparkSession, factors: DataFrame) -> DataFrame:
@@ -250,18 +333,23 @@ def sgd_cp(spark: SparkSession, sf: str) -> DataFrame:
 
 @query("tradeoff")
 def tradeoff(spark: SparkSession, sf: str) -> DataFrame:
-    """Training time against subarray size at equal trained cells."""
+    """Seconds by part and AUC against subarray size, with the trained cells equal."""
     arr, sizes = _triples(spark, sf)
+    known, test = _held(arr, sizes, zero_share=0.002)
+    p = small_params(rounds=2, rate=0.3, decay_rate="rows", kernel=Kernel("matern32", scale=1.5), offset=-2.5, init_scale=0.3)
+    bags = checkpointed(draw_plan(known, sizes, "uniform", 4, [50, 50, 50], seed=77), "bags")
     rows = []
-    for side in (10, 20, 40):
+    for side in (20, 40, 60, 80):
         count = cost.same_work([side] * 3, math.prod(sizes))
+        sides = [min(side, m) for m in sizes]
         began = time.time()
-        plan = checkpointed(draw_plan(arr, sizes, "uniform", count, [side] * 3), "plan")
-        cut = checkpointed(sampling.blocks(arr, plan, [min(side, m) for m in sizes], 4), "blocks")
+        plan = checkpointed(draw_plan(known, sizes, "uniform", count, sides), "plan")
+        cut = checkpointed(sampling.blocks(known, plan, sides, 8), "blocks")
         taken = time.time()
-        model = train.fit(cut, sizes, small_params(rounds=1), 4)
-        rows.append((side, count, taken - began, model.history[0]["seconds"]))
-    return spark.createDataFrame(rows, "side int, subarrays long, extract_s double, train_s double")
+        model = train.fit(cut, sizes, p, 8)
+        scored = predict.predict(model, known, test, bags, [min(50, m) for m in sizes])
+        rows.append((side, count, taken - began, sum(h["pass_s"] for h in model.history), sum(h["merge_s"] for h in model.history), float(measures.auc(scored, score="mean").first().auc)))
+    return spark.createDataFrame(rows, "side int, subarrays long, extract_s double, train_s double, merge_s double, auc double")
 
 
 @query("giant_round")
@@ -309,21 +397,22 @@ def tune(spark: SparkSession, sf: str) -> DataFrame:
 
 @query("st_online_fit")
 def st_online_fit(spark: SparkSession, sf: str) -> DataFrame:
-    """A model that follows a stream: each batch's new cells refit the touched factors from the last ones."""
+    """A model that follows a stream of weeks: one grid over each batch's cells, all of them, refits the factors from the last ones."""
     dictionary = checkpointed(arrays.mode_dictionary(w.log_array(spark, sf), w.LOG), "dictionary")
     sizes = [int(r.n) for r in dictionary.groupBy("mode").agg(F.max("idx").alias("n")).orderBy("mode").collect()]
     seen: dict = {"factors": None, "rows": []}
 
     def update(arr: DataFrame, batch: int) -> None:
         cells = checkpointed(arrays.encode(arr, dictionary, w.LOG), "batch")
-        plan = checkpointed(draw_plan(cells, sizes, "weighted", 6, [10, 5, 10], seed=batch), "plan")
-        model = train.fit(sampling.blocks(cells, plan, [min(a, b) for a, b in zip((10, 5, 10), sizes, strict=True)], 2), sizes, small_params(rounds=1), 2, init=seen["factors"])
+        sides = [min(a, b) for a, b in zip((50, 5, 50), sizes, strict=True)]
+        plan = checkpointed(draw_plan(cells, sizes, "grid", 0, sides, seed=batch), "plan")
+        model = train.fit(sampling.blocks(cells, plan, sides, 4), sizes, small_params(rounds=1), 4, init=seen["factors"])
         seen["factors"] = model.factors
-        seen["rows"].append((batch, model.history[0]["bound"], model.history[0]["rows_touched"]))
+        seen["rows"].append((batch, cells.count(), model.history[0]["bound"], model.history[0]["rows_touched"], model.history[0]["coverage"]))
 
-    stream = st.event_stream(spark, sf).select("user_id", "event_type", F.get_json_object("props", "$.k").alias("k"))
+    stream = st.event_stream_by_week(spark, sf).select("user_id", "event_type", F.get_json_object("props", "$.k").alias("k"))
     st.fit_stream(stream, list(w.LOG), update)
-    return spark.createDataFrame(seen["rows"], "batch int, bound double, rows_touched long")
+    return spark.createDataFrame(seen["rows"], "batch int, nonzeros long, bound double, rows_touched long, coverage double")
 
 
 @query("train_4way")

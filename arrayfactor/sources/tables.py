@@ -15,7 +15,9 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def scratch(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir`` of the session, or a temporary folder where that is unset."""
+    """``spark.checkpoint.dir`` of the session; where that is unset, a temporary folder if all of Spark is one process."""
+    if not spark.conf.get("spark.checkpoint.dir", None) and not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     root = spark.conf.get("spark.checkpoint.dir", None) or _OWN.setdefault("dir", "file://" + tempfile.mkdtemp(prefix="arrayfactor_"))
     return f"{root.rstrip('/')}/arrayfactor-{spark.sparkContext.applicationId}"
 

@@ -23,6 +23,18 @@ def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.readStream.schema(schema).option("pathGlobFilter", "events.parquet").option("recursiveFileLookup", "true").parquet(sf_dir).withColumn("ts", F.col("ts").cast("timestamp"))
 
 
+def event_stream_by_week(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The events as a stream of one file a week, in order, one micro-batch each: an array that grows."""
+    from ..sources.tables import scratch
+
+    events = spark.read.parquet(f"{sf_dir}/events.parquet")
+    weeks = events.select(F.date_trunc("week", "ts").alias("week")).distinct().orderBy("week").collect()  # one row a week
+    path = f"{scratch(spark)}/weeks-{uuid.uuid4().hex[:12]}"
+    for r in weeks:
+        events.filter(F.date_trunc("week", "ts") == F.lit(r.week)).coalesce(1).write.mode("append").parquet(path)
+    return spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(path)
+
+
 def replayed(df: DataFrame, mode: str = "append") -> DataFrame:
     """Run a streaming DataFrame over all that is there now; the result from a memory sink."""
     name = f"stream_{uuid.uuid4().hex[:12]}"

@@ -188,3 +188,40 @@ def test_triples_are_trained_to_coverage_one(spark, monkeypatch):
 def test_coverage_is_told(spark, cube):
     model = q.fitted(cube, [12] * 3, "uniform", q.small_params(rounds=1), count=None, sides=(5, 5, 5))
     assert 1 <= model.history[0]["coverage"] < 1.1
+
+
+def test_shards_are_equal_and_alone_in_their_partition(spark, cube):
+    plan = checkpointed(sampling.sample_uniform(spark, [12] * 3, 43, [6] * 3, 3), "plan")
+    cut = checkpointed(sampling.blocks(cube, plan, [6] * 3, 8), "blocks")
+    counts = [r["count"] for r in cut.groupBy("shard").count().collect()]
+    assert len(counts) == 8 and max(counts) - min(counts) <= 1
+    placed = cut.repartitionById(8, "shard").withColumn("at", F.spark_partition_id()).groupBy("at").agg(F.count_distinct("shard").alias("n")).collect()
+    assert len(placed) == 8 and all(r.n == 1 for r in placed)
+
+
+def test_contraction_in_steps_is_the_einsum():
+    from arrayfactor.functions import gp
+
+    rnd = np.random.default_rng(1)
+    block, rows = rnd.normal(size=(3, 4, 5, 2)), [rnd.normal(size=(7, m)) for m in (3, 4, 5, 2)]
+    assert np.allclose(gp.contracted(block, rows, 3), np.einsum("abcd,na,nb,nc,nd->n", block, *rows))
+
+
+def test_kernel_diagonal():
+    from arrayfactor.functions.kernels import KINDS, covariance, diagonal
+
+    u = np.random.default_rng(2).normal(size=(6, 3))
+    for kind in KINDS:
+        k = Kernel(kind, scale=0.7, amplitude=1.3, gamma=0.4)
+        assert np.allclose(diagonal(u, k), np.diag(covariance(u, u, k)))
+
+
+def test_log_comparison_finds_no_signal(spark):
+    rows = q.aucs_log(spark, "/root/testdata/sf0.001").collect()
+    assert {r.method for r in rows} == {"local-gp-uniform", "local-gp-weighted", "local-gp-grid", "sparse-cp", "degree"} and all(r.sets == 50 for r in rows)
+    assert all(abs(r.auc - 0.5) < 0.12 for r in rows)
+
+
+def test_stream_refits_over_several_batches(spark):
+    rows = q.st_online_fit(spark, "/root/testdata/sf0.001").collect()
+    assert len(rows) >= 4 and all(r.nonzeros > 0 and r.coverage >= 0.99 for r in rows)
