@@ -65,6 +65,7 @@ def predict(model: Model, arr: DataFrame, cells: DataFrame, plan: DataFrame, siz
             mean, var = total[0] / np.maximum(total[2], 1e-300) + offset, total[1] / np.maximum(total[2], 1e-300)
             yield frame[names + kept].assign(mean=mean, var=var, prob=cdf(mean / np.sqrt(1 + var)), votes=len(bags.value))
 
+    found = found.repartition(cells.sparkSession.sparkContext.defaultParallelism)  # the work is in the cells, not in their bytes
     return found.mapInPandas(score, f"{fields}, mean double, var double, prob double, votes int")
 
 
