@@ -249,25 +249,6 @@ def aucs_log(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame(compared_on_sets(spark, "log", arr, w.sizes_of(arr), 10, 200, 2000), ON_SETS)
 
 
-def _folds(spark: SparkSession, name: str, arr: DataFrame, modes: list[str], sides: list[int], rank: int = 3) -> list[tuple]:
-    """Every method on each of five folds with 0.1 % of the zeros (2,000 at least): (workload, method, fold, auc, seconds)."""
-    arr = checkpointed(arrays.encode(arr, arrays.mode_dictionary(arr, modes), modes).withColumn("y", F.lit(1.0)), name)
-    sizes = w.sizes_of(arr)
-    share = max(0.001, 2000 / math.prod(sizes))
-    return [(*row[:2], fold, *row[2:]) for fold in range(5) for row in compared(spark, name, arr, sizes, sides, rank=rank, rounds=2, count=24, bags=4, fold=fold, zero_share=min(share, 0.5))]
-
-
-FOLDS = "workload string, method string, fold int, auc double, seconds double"
-
-
-@query("aucs_4way")
-def aucs_4way(spark: SparkSession, sf: str) -> DataFrame:
-    """The small-data study on four modes, all folds; the tables are uniform random, so 0.5 is the right answer."""
-    modes = ["c_nationkey", "p_brand", "p_type", "s_nationkey"]
-    rows = _folds(spark, "trade4", arrays.build_array(w.nation_records(spark, sf), modes), modes, [10, 10, 6, 10])
-    return spark.createDataFrame(rows, FOLDS).groupBy("workload", "method").agg(F.avg("auc").alias("mean_auc"), F.stddev_samp("auc").alias("sd_auc"), F.count("auc").alias("folds"), F.avg("seconds").alias("seconds"))
-
-
 @query("machine_scaling")
 def machine_scaling(spark: SparkSession, sf: str) -> DataFrame:
     """Measured seconds of one pass over the same subarrays of the largest array, dealt to 1, 2 and 4 shards at once."""
