@@ -3,6 +3,10 @@
 Toxic texts go, then exact copies, then near copies (five-word shingles, similarity 0.8), then texts
 that repeat benchmark passages; what is left is encoded. Every stage is written as Parquet in the
 shared scratch folder and read again, so a lost executor repeats one stage at most.
+
+Defined results: a null text counts as empty, and of all empty texts one row stays; of rows that
+repeat an id and a text one stays; an id that stands on several texts is judged text by text; an empty
+table gives an empty result; extra columns are carried to the last stage, which returns its own.
 """
 
 from __future__ import annotations
