@@ -37,7 +37,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .components import attach_min, components
+from .components import components, with_group
 from .runtime import materialise, one_of_each, release, table, text_digest
 from .textcore import U64, chunks, find_words, mix64, ngrams, stream
 
@@ -247,9 +247,9 @@ def in_blocks(members: DataFrame, group: str, payload: str) -> DataFrame:
     Members of a group of n are dealt to ceil(n / BLOCK) blocks by hash; every pair of blocks is a
     unit of work of bounded size, whatever the group's size.
     """
-    sizes = members.groupBy(group).agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
+    sized = with_group(members, group, "node", blocks=F.ceil(F.count("*") / BLOCK).cast("int"))
     own = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
-    dealt = members.join(sizes, group).withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = sized.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     key = F.xxhash64(group, F.least("own", "other"), F.greatest("own", "other"))
     return dealt.select(key.alias("key"), "node", "root", "n_shingles", payload).repartition("key").sortWithinPartitions("key")
 
@@ -279,8 +279,7 @@ def _judged(docs: DataFrame, shingle: int, percent: int) -> DataFrame:
     best = ends.withColumn("place", F.row_number().over(Window.partitionBy("node").orderBy(F.desc("lcp"), "a", "b"))).filter(F.col("place") <= NEIGHBOURS).select("a", "b").distinct()
     # full sets of the nodes that share a region with another
     place = trees.select("node", F.xxhash64("tree", F.expr(f"substring(order, 1, {4 * STEP})")).alias("region"))
-    crowded = place.groupBy("region").agg(F.count("*").alias("n")).filter("n > 1").select("region")
-    members = materialise(place.join(crowded, "region"), "members")
+    members = materialise(with_group(place, "region", "node", "n > 1", n=F.count("*")).select("node", "region"), "members")
     active = members.select("node").distinct().join(nodes.select("node", F.col("first_id").alias("doc_id"), "set_a", "set_b"), "node")
     sets = texts.join(active.hint("shuffle_hash"), "doc_id").select("node", "set_a", "set_b", "text").mapInArrow(_sets(shingle), "node long, grams binary")
     if signed.filter("doc_id is not null").groupBy("doc_id").count().filter("count > 1").limit(1).count():
@@ -290,8 +289,8 @@ def _judged(docs: DataFrame, shingle: int, percent: int) -> DataFrame:
     first = materialise(components(links, "first"), "roots")
     # all other pairs of a region that could join two provisional components: first by signature, ...
     comp = members.join(first, "node", "left").select("node", "region", F.coalesce("root", "node").alias("root"))
-    mixed = comp.groupBy("region").agg(F.min("root").alias("x"), F.max("root").alias("y")).filter("x != y").select("region")
-    rest = comp.join(mixed, "region").join(nodes.select("node", "n_shingles", "sig"), "node")
+    mixed = with_group(comp, "region", "node", "low != high", low=F.min("root"), high=F.max("root")).select("node", "region", "root")
+    rest = mixed.join(nodes.select("node", "n_shingles", "sig"), "node")
     alike = materialise(in_blocks(rest, "region", "sig").mapInArrow(_alike(percent), "a long, b long"), "alike")
     # ... then, among the members of each cluster of alike signatures, on full sets
     cluster = components(alike, "clusters").withColumnRenamed("root", "cluster")
@@ -299,7 +298,7 @@ def _judged(docs: DataFrame, shingle: int, percent: int) -> DataFrame:
     more = materialise(in_blocks(close, "cluster", "grams").mapInArrow(_linked(percent), "a long, b long"), "more")
     last = components(links.unionByName(more), "last") if more.limit(1).count() else first
     rooted = nodes.join(last, "node", "left").select(*key, "first_id", F.coalesce("root", "node").alias("root"))
-    group = attach_min(rooted, "root", "first_id", "component_id").drop("first_id")
+    group = with_group(rooted, "root", "first_id", component_id=F.min("first_id")).drop("first_id")
     release(spark, sets)
     out = signed.select("doc_id", "digest", *key).join(group, key, "left")
     alone = F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id"))

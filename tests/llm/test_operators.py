@@ -445,6 +445,29 @@ def test_exact_plan_sorts_and_merges(spark, docs):
     assert plan.count("SortAggregate") == 8 and plan.count("Sort [") >= 8 and "HashAggregate" not in plan
 
 
+def test_components_over_many_partitions(spark):
+    import random
+
+    from arrayfactor.llm.components import components
+
+    rng = random.Random(5)
+    edges = [(i, i + 1) for i in range(300)]  # a path, trees, a cycle, repeats and loops
+    edges += [(1000 + i, 1000 + rng.randrange(i)) for i in range(1, 200)] + [(2000 + i, 2000 + (i + 1) % 60) for i in range(60)]
+    edges += [(1000 + i, 1000 + rng.randrange(200)) for i in range(50)] + edges[:40] + [(7, 7), (-5, -(2**62))]
+    rng.shuffle(edges)
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    try:
+        got = {r.node: r.root for r in components(spark.createDataFrame(edges, "a long, b long").repartition(7)).collect()}
+    finally:
+        spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
+    expected = {n: n for e in edges for n in e}
+    for _ in range(400):
+        for a, b in edges:
+            expected[a] = expected[b] = min(expected[a], expected[b])
+    assert got == expected
+    assert components(spark.createDataFrame([], "a long, b long")).count() == 0
+
+
 def test_components_of_a_hub(spark):
     from arrayfactor.llm.components import components
 
