@@ -64,9 +64,12 @@ def _contract(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield put()
 
 
-def _contracted(edges: DataFrame) -> DataFrame:
-    """Distinct edges (u, v), contracted within the partitions that Spark makes of them."""
-    return edges.filter("u != v").distinct().mapInArrow(_contract, "u long, v long")
+def _contracted(edges: DataFrame, about: int) -> DataFrame:
+    """Distinct edges (u, v), ``about`` so many, contracted within partitions of some ``CONTRACT`` rows each.
+
+    The number only sizes the partitions: in any of them ``CONTRACT`` edges are held at a time.
+    """
+    return edges.filter("u != v").distinct().coalesce(-(-about // CONTRACT) or 1).mapInArrow(_contract, "u long, v long")
 
 
 def _forest(now: DataFrame) -> bool:
@@ -80,17 +83,17 @@ def components(edges: DataFrame, label: str = "components") -> DataFrame:
     """(node, root) for every node of the undirected ``edges`` (a, b); root is the least node reachable.
 
     The edges of each partition are contracted to stars before every round, which leaves less to shuffle
-    and fewer rounds; a round writes what is left to the shared scratch folder. It ends when every
+    and fewer rounds: one task does the work where all edges are one partition of ``CONTRACT`` (16 MB). A round writes what is left to the shared scratch folder. It ends when every
     edge joins a node to a root. No list of neighbours is ever gathered, so a node of any degree is fine.
     """
-    now = materialise(_contracted(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v"))), label)
+    now = materialise(_contracted(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")), edges.count()), label)
     while not _forest(now):
         both = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
         large = _attach_least(both).filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
         large = large.filter("u != v").distinct()
         small = _attach_least(large)  # here every v < u
         merged = small.select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(small.select("u", F.col("m").alias("v")))
-        after = materialise(_contracted(merged), label)
+        after = materialise(_contracted(merged, now.count()), label)
         release(edges.sparkSession, now)
         now = after
     roots = now.select(F.col("v").alias("node")).distinct().select("node", F.col("node").alias("root"))

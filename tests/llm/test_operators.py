@@ -468,6 +468,23 @@ def test_components_over_many_partitions(spark):
     assert components(spark.createDataFrame([], "a long, b long")).count() == 0
 
 
+def test_components_where_edges_fill_many_partitions(spark, monkeypatch):
+    """Partitions of 10 edges: rounds of star contraction have to do what one task does otherwise."""
+    import random
+
+    from arrayfactor.llm import components as c
+
+    rng = random.Random(8)
+    chain = rng.sample(range(1000, 1060), 60)
+    edges = [*zip(chain[:-1], chain[1:], strict=True)] + [(5, k) for k in range(6, 50)] + [(rng.randrange(300, 400), rng.randrange(300, 400)) for _ in range(60)]
+    table = spark.createDataFrame(edges, "a long, b long").repartition(7)
+    whole = {tuple(r) for r in c.components(table).collect()}
+    monkeypatch.setattr(c, "CONTRACT", 10)
+    parted = {tuple(r) for r in c.components(table).collect()}
+    assert parted == whole
+    assert {root for node, root in parted if node >= 1000} == {1000} and {root for node, root in parted if node < 50} == {5}
+
+
 def test_components_of_a_hub(spark):
     from arrayfactor.llm.components import components
 
