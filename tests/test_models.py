@@ -121,6 +121,33 @@ def test_bagging_lowers_the_spread(spark, cube):
     assert gap(c, d) < gap(a, b)
 
 
+def test_containing_prediction_is_the_enlarged_bag(spark, cube):
+    """A cell's indices join every bag, the cell itself is unseen, and its posterior means are averaged."""
+    from arrayfactor.functions import gp
+
+    model = q.fitted(cube, [12] * 3, "grid", q.small_params(rounds=1), sides=(6, 6, 6))
+    cells = checkpointed(cube.orderBy("i1", "i2", "i3").limit(3).unionByName(spark.createDataFrame([(12, 12, 12, 0.0)], cube.schema)), "cells")
+    plan = checkpointed(q.draw_plan(cube, [12] * 3, "uniform", 2, [4] * 3, 77), "bags")
+    got = {(r.i1, r.i2, r.i3): r for r in predict.predict_containing(model, cube, cells, plan, [4] * 3, batch=1).collect()}
+    drawn, vecs, p = {}, dense(model.factors), model.params
+    for r in plan.collect():
+        drawn.setdefault(r.sub_id, {}).setdefault(r.mode, set()).add(r.idx)
+    full = np.zeros((12, 12, 12))
+    for r in cube.collect():
+        full[r.i1 - 1, r.i2 - 1, r.i3 - 1] = r.y
+    assert len(got) == 4
+    for r in cells.collect():
+        at, means = (r.i1, r.i2, r.i3), []
+        for own in drawn.values():
+            sets = [sorted(own[k] | {i}) for k, i in enumerate(at, 1)]
+            y = full[np.ix_(*[np.array(s) - 1 for s in sets])]
+            here, mask = tuple(s.index(i) for s, i in zip(sets, at, strict=True)), np.ones(y.shape, bool)
+            mask[here] = False
+            post, _ = gp.infer([np.array([vecs[k, i] for i in s]) for k, s in enumerate(sets, 1)], y, p.kernel, p.likelihood, sweeps=p.sweeps, mask=mask, offset=p.offset)
+            means.append(post.mean[here])
+        assert got[at].votes == 2 and got[at].mean == pytest.approx(np.mean(means)) and got[at].y == r.y
+
+
 def test_sparse_and_plain_products_agree_step_for_step(spark, cube):
     ones = cube.filter("y > 0")
     a, b = dense(baselines.cp_als(ones, [12] * 3, 2, 2)), dense(baselines.sparse_cp(ones, [12] * 3, 2, 2))
