@@ -1,7 +1,7 @@
 """Arrays that grow: windows, presence arrays, state and model updates on streams of records.
 
 Each operator works on a batch or a streaming DataFrame alike; ``replayed`` runs one to its end with
-the ``availableNow`` trigger and gives the result table.
+the ``availableNow`` trigger and gives the result table, which the tasks write to the shared scratch folder.
 """
 
 from __future__ import annotations
@@ -36,11 +36,25 @@ def event_stream_by_week(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def replayed(df: DataFrame, mode: str = "append") -> DataFrame:
-    """Run a streaming DataFrame over all that is there now; the result from a memory sink."""
-    name = f"stream_{uuid.uuid4().hex[:12]}"
-    query = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
+    """Run a streaming DataFrame over all that is there now; batches are written by the tasks, none comes to the driver.
+
+    The result is all batches, or with "complete" the last one, which holds the whole table.
+    """
+    from ..sources.tables import scratch
+
+    spark = df.sparkSession
+    path = f"{scratch(spark)}/stream-{uuid.uuid4().hex[:12]}"
+    written: dict[int, str] = {}
+
+    def write(batch: DataFrame, n: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/{n}")  # a batch that is tried again replaces its own rows
+        written[n] = f"{path}/{n}"
+
+    query = df.writeStream.outputMode(mode).option("checkpointLocation", f"{path}-state").trigger(availableNow=True).foreachBatch(write).start()
     query.awaitTermination()
-    return df.sparkSession.table(name)
+    if not written:
+        return spark.createDataFrame([], df.schema)
+    return spark.read.schema(df.schema).parquet(*([written[max(written)]] if mode == "complete" else written.values()))
 
 
 def tumbling(events: DataFrame, width: str = "1 day") -> DataFrame:

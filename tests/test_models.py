@@ -252,3 +252,25 @@ def test_log_comparison_finds_no_signal(spark):
 def test_stream_refits_over_several_batches(spark):
     rows = q.st_online_fit(spark, "/root/testdata/sf0.001").collect()
     assert len(rows) >= 4 and all(r.nonzeros > 0 and r.coverage >= 0.99 for r in rows)
+
+
+@pytest.mark.parametrize("key", ["st_static_encode", "st_dedup_array", "st_tumbling", "st_session", "st_user_state"])
+def test_stream_results_stay_out_of_the_driver(spark, key):
+    """Rows of a replayed stream lie in files of the scratch folder, not in a memory sink."""
+    from arrayfactor import registry
+    from arrayfactor.sources.tables import scratch
+
+    got = registry.QUERIES[key](spark, "/root/testdata/sf0.001")
+    assert got.inputFiles() and all(scratch(spark).removeprefix("file://") in f for f in got.inputFiles())
+
+
+def test_replayed_stream_keeps_all_batches_or_the_last(spark, tmp_path):
+    from arrayfactor.streaming import events as st
+
+    for n in range(3):
+        spark.createDataFrame([(n, i) for i in range(4)], "a long, b long").coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    stream = spark.readStream.schema("a long, b long").option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+    assert sorted(map(tuple, st.replayed(stream).collect())) == [(n, i) for n in range(3) for i in range(4)]
+    assert sorted(map(tuple, st.replayed(stream.groupBy("b").count(), "complete").collect())) == [(i, 3) for i in range(4)]
+    (tmp_path / "none").mkdir()
+    assert st.replayed(spark.readStream.schema("a long, b long").parquet(str(tmp_path / "none"))).collect() == []
