@@ -274,3 +274,22 @@ def test_replayed_stream_keeps_all_batches_or_the_last(spark, tmp_path):
     assert sorted(map(tuple, st.replayed(stream.groupBy("b").count(), "complete").collect())) == [(i, 3) for i in range(4)]
     (tmp_path / "none").mkdir()
     assert st.replayed(spark.readStream.schema("a long, b long").parquet(str(tmp_path / "none"))).collect() == []
+
+
+def test_parent_rows_of_few_subarrays_are_joined(spark, cube, cut, monkeypatch):
+    """48 subarrays of a giant array use few of its rows: the factors stay out of the driver, and the model is the same."""
+    assert train.ships([900_000, 1_200_000, 60_000], (5, 5, 5), 48 * 75) == "join"
+    assert train.ships([200, 200, 200], (3, 3, 3), 1000 * 60) == "broadcast"
+    p = q.small_params(ranks=(2, 2, 2), rounds=1)
+    sent = train.digest(train.fit(cut, [12] * 3, p, 3))
+    monkeypatch.setattr(train, "ships", lambda *a: "join")
+    monkeypatch.setattr(train, "as_arrays", lambda *a: pytest.fail("factors came to the driver"))
+    assert train.digest(train.fit(cut, [12] * 3, p, 3)) == sent
+
+
+def test_packed_rows_are_the_rows(spark):
+    from arrayfactor.sources.tables import by_mode
+
+    rows = [(k, i, [float(i), k / 2]) for k in (1, 2) for i in range(9, 0, -1)]
+    got = by_mode(spark.createDataFrame(rows, "mode int, idx long, vec array<double>").repartition(3), "vec")
+    assert [(k, int(i), v.tolist()) for k in got for i, v in zip(*got[k], strict=True)] == sorted(rows)
