@@ -29,3 +29,17 @@ def test_coordinate_source_round_trip(spark, tmp_path):
     spark.createDataFrame(rows, "i1 long, i2 long, i3 long, y double").write.format("coo").option("modes", 3).mode("append").save(str(tmp_path / "a"))
     assert sorted(map(tuple, spark.read.format("coo").option("modes", 3).load(str(tmp_path / "a")).collect())) == rows
     assert sorted(map(tuple, coo.read_coordinates(spark, str(tmp_path / "a"), 3).collect())) == rows
+
+
+# queries that once made up their data, with the table that they read now
+READ = {
+    "budget_table": "events",
+    "cost_model": "lineitem",
+    "traffic_model": "events",
+}
+
+
+@pytest.mark.parametrize("key", sorted(READ))
+def test_query_reads_its_table(spark, key):
+    files = registry.QUERIES[key](spark, SMALL).inputFiles()
+    assert any(f.endswith(f"/{READ[key]}.parquet") for f in files)
