@@ -33,6 +33,10 @@ def test_coordinate_source_round_trip(spark, tmp_path):
 
 # queries that once made up their data, with the table that they read now
 READ = {
+    "merge_mean": "events",
+    "merge_touched": "events",
+    "merge_laplace": "events",
+    "udaf_vec_mean": "events",
     "budget_table": "events",
     "cost_model": "lineitem",
     "traffic_model": "events",
