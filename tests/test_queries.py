@@ -33,6 +33,8 @@ def test_coordinate_source_round_trip(spark, tmp_path):
 
 # queries that once made up their data, with the table that they read now
 READ = {
+    "kron_small": "lineitem",
+    "vec_identity": "lineitem",
     "merge_mean": "events",
     "merge_touched": "events",
     "merge_laplace": "events",
