@@ -33,6 +33,7 @@ def test_coordinate_source_round_trip(spark, tmp_path):
 
 # queries that once made up their data, with the table that they read now
 READ = {
+    "decay_closed_form": "events",
     "scaling_curve": "lineitem",
     "kron_small": "lineitem",
     "vec_identity": "lineitem",
