@@ -33,6 +33,7 @@ def test_coordinate_source_round_trip(spark, tmp_path):
 
 # queries that once made up their data, with the table that they read now
 READ = {
+    "udtf_plan": "events",
     "decay_closed_form": "events",
     "scaling_curve": "lineitem",
     "kron_small": "lineitem",
@@ -51,3 +52,10 @@ READ = {
 def test_query_reads_its_table(spark, key):
     files = registry.QUERIES[key](spark, SMALL).inputFiles()
     assert any(f.endswith(f"/{READ[key]}.parquet") for f in files)
+
+
+def test_table_function_draws_from_the_log(spark):
+    rows = registry.QUERIES["udtf_plan"](spark, SMALL).collect()
+    users = spark.read.parquet(f"{SMALL}/events.parquet").select("user_id").distinct().count()
+    assert len(rows) == len(set(rows)) == 4 * 3 * 5 and 0 < max(r.idx for r in rows if r.mode == 1) <= users
+    assert {r.idx for r in rows if r.mode == 2} == {1, 2, 3, 4, 5}
