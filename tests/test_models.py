@@ -163,6 +163,37 @@ def test_full_rank_tucker_reproduces_the_array(spark):
         assert all(abs(v - (i + 2 * j + 3 * k)) < 1e-3 for (i, j, k), v in got.items())
 
 
+def shuffled_records(spark):
+    """Records that all stages so far have shuffled."""
+    jvm, gateway = spark.sparkContext._jvm, spark.sparkContext._gateway
+    stages = spark.sparkContext._jsc.sc().statusStore().stageList(None, False, False, gateway.new_array(jvm.double, 0), jvm.java.util.ArrayList())
+    return sum(stages.apply(n).shuffleWriteRecords() for n in range(stages.size()))
+
+
+def test_row_products_shuffle_lists_not_pairs(spark):
+    n = 1_500  # rows that share one column: 2,250,000 pairs
+    arr = checkpointed(spark.range(1, n + 1).select(F.col("id").alias("i1"), F.lit(1).cast("long").alias("i2"), F.lit(1).cast("long").alias("i3"), F.lit(2.0).alias("y")), "arr")
+    products, before = baselines.gram(arr, 1), shuffled_records(spark)
+    products.write.format("noop").mode("overwrite").save()
+    assert shuffled_records(spark) - before < 10 * n
+    got = products.agg(F.count("*"), F.count_distinct("a", "b"), F.min("g"), F.max("g"), F.max("a"), F.max("b")).first()
+    assert tuple(got) == (n * n, n * n, 4.0, 4.0, n, n)
+
+
+def test_row_products_equal_the_join(spark):
+    rng = np.random.default_rng(5)
+    # three blocks of rows, short and long lists, values that cancel, cells that repeat, missing values and columns
+    cells = [(int(rng.integers(1, 2_600)), int(rng.integers(1, 4)), int(rng.integers(1, 40)), float(rng.integers(-2, 3))) for _ in range(2_000)]
+    cells += [(i, 7, 7, float(rng.integers(-1, 2))) for i in range(1, 1_200, 3)] + [(i, 8, 8, -1.0) for i in range(1, 1_200, 3)]
+    cells += [(i, 9, 9, None if i % 2 else 3.0) for i in range(2_000, 2_050)] + [(5, 9, 9, None), (5, 9, 10, None), (6, None, 1, 1.0), (7, None, 1, 1.0)]
+    arr = checkpointed(spark.createDataFrame(cells, "i1 long, i2 long, i3 long, y double"), "arr")
+    for k, others in ((1, ["i2", "i3"]), (2, ["i1", "i3"])):
+        left, right = (arr.select(*others, F.col(f"i{k}").alias(s), F.col("y").alias(f"y{s}")) for s in "ab")
+        want = left.join(right, others).filter("a is not null and b is not null").groupBy("a", "b").agg(F.sum(F.col("ya") * F.col("yb")).alias("g"))
+        got = [sorted(map(repr, map(tuple, df.select("a", "b", F.col("g") + F.lit(0.0)).collect()))) for df in (baselines.gram(arr, k), want)]
+        assert got[0] == got[1]
+
+
 def test_auc_with_ties(spark):
     df = spark.createDataFrame([(1.0, 0.9), (1.0, 0.5), (0.0, 0.5), (0.0, 0.1)], "y double, score double")
     assert measures.auc(df).first().auc == 0.875
