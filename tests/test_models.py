@@ -324,3 +324,60 @@ def test_packed_rows_are_the_rows(spark):
     rows = [(k, i, [float(i), k / 2]) for k in (1, 2) for i in range(9, 0, -1)]
     got = by_mode(spark.createDataFrame(rows, "mode int, idx long, vec array<double>").repartition(3), "vec")
     assert [(k, int(i), v.tolist()) for k in got for i, v in zip(*got[k], strict=True)] == sorted(rows)
+
+
+def test_containing_prediction_shuffles_slices_not_enlarged_bags(spark):
+    """Nonzeros go to a task once for all its batches, not once for each enlarged bag that a slice of them meets."""
+    side = 30
+    arr = checkpointed(spark.range(side**3).selectExpr("id div 900 + 1 as i1", "id div 30 % 30 + 1 as i2", "id % 30 + 1 as i3", "1.0D as y"), "arr")
+    p = q.small_params()
+    model = train.Model(checkpointed(train.initial_factors(spark, [side] * 3, p), "factors"), [], p, (side,) * 3)
+    cells = checkpointed(arr.filter("xxhash64(i1, i2, i3) % 67 = 0"), "cells")
+    plan = checkpointed(q.draw_plan(arr, [side] * 3, "uniform", 2, [5] * 3, 77), "bags")
+    before = shuffled_records(spark)
+    got = predict.predict_containing(model, arr, cells, plan, [5] * 3)
+    assert got.filter("votes = 2").count() == cells.count() > 300
+    assert shuffled_records(spark) - before < 2 * arr.count()
+
+
+def test_extraction_equals_brute_force_without_shuffling_slices(spark):
+    rng = np.random.default_rng(4)
+    for sides in ([6, 5], [4, 6, 5], [3, 2, 4, 3]):
+        shape = [8] * len(sides)
+        full = rng.random(shape) * (rng.random(shape) < 0.6)
+        names = ", ".join(f"i{k} long" for k in range(1, len(shape) + 1))
+        arr = checkpointed(spark.createDataFrame([(*[int(i) + 1 for i in at], float(full[tuple(at)])) for at in np.argwhere(full)], f"{names}, y double"), "arr")
+        plan = checkpointed(sampling.sample_uniform(spark, shape, 40, sides, 3), "plan")
+        sets, before = {}, shuffled_records(spark)
+        for r in plan.orderBy("pos").collect():
+            sets.setdefault(r.sub_id, {}).setdefault(r.mode, []).append(r.idx - 1)
+        before = shuffled_records(spark)
+        got = {(r.sub_id, r.lin): r.y for r in sampling.extract(arr, plan, sides).collect()}
+        blocks = {s: full[np.ix_(*[own[k] for k in sorted(own)])].ravel() for s, own in sets.items()}
+        assert got == {(s, n): y for s, b in blocks.items() for n, y in enumerate(b) if y}
+        assert shuffled_records(spark) - before < 40 * (np.prod(sides) + sum(sides)) + arr.count()
+
+
+def test_words_are_split_once_and_rare_runs_stay_in_the_tasks(spark):
+    texts = ["a b c a b c", None, "", "Été ŒUVRE été\x01b", "averylongword a averylongword averylongwords", "c", "a"] + [f"w{chr(97 + n % 26)}x{chr(97 + n // 26)} rare{chr(97 + n % 26)}" * 30 for n in range(200)]
+    docs = checkpointed(spark.createDataFrame([(t,) for t in texts], "text string"), "docs").repartition(3)
+    words = docs.select(w.tokens(F.col("text")).alias("w"))
+    for n in (6, 10_000):
+        frequent = w.frequent_words(docs, n)
+        assert sorted(frequent) == sorted(r.t for r in w.top_tokens(words, n).collect())
+        place, want = {t: k for k, t in enumerate(frequent, 1)}, {}
+        for r in words.collect():
+            for run in zip(r.w or [], (r.w or [])[1:], (r.w or [])[2:], strict=False):
+                if all(t in place for t in run):
+                    key = tuple(place[t] for t in run)
+                    want[key] = want.get(key, 0) + 1
+        assert {(r.i1, r.i2, r.i3): r.n for r in w.frequent_runs(docs, frequent).collect()} == want and want
+
+
+def test_tails_are_the_two_functions():
+    from arrayfactor.functions.normal import hazard, log_cdf, tails
+
+    for x in (np.linspace(-36.99, 36.99, 50_001), np.array([-60.0, -37.0, 0.0, 37.0, 80.0]), np.zeros((0, 2))):
+        logs, ratio = tails(x)
+        assert np.allclose(logs, log_cdf(x), rtol=1e-10, atol=1e-300) or np.allclose(logs, log_cdf(x), atol=1e-11)
+        assert np.allclose(ratio, hazard(x), rtol=1e-9, atol=1e-11)
