@@ -326,7 +326,15 @@ def test_packed_rows_are_the_rows(spark):
     assert [(k, int(i), v.tolist()) for k in got for i, v in zip(*got[k], strict=True)] == sorted(rows)
 
 
-def test_containing_prediction_shuffles_slices_not_enlarged_bags(spark):
+@pytest.fixture
+def large(spark):
+    """Joins as on tables too large to send."""
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    yield
+    spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+def test_containing_prediction_shuffles_slices_not_enlarged_bags(spark, large):
     """Nonzeros go to a task once for all its batches, not once for each enlarged bag that a slice of them meets."""
     side = 30
     arr = checkpointed(spark.range(side**3).selectExpr("id div 900 + 1 as i1", "id div 30 % 30 + 1 as i2", "id % 30 + 1 as i3", "1.0D as y"), "arr")
@@ -340,7 +348,7 @@ def test_containing_prediction_shuffles_slices_not_enlarged_bags(spark):
     assert shuffled_records(spark) - before < 2 * arr.count()
 
 
-def test_extraction_equals_brute_force_without_shuffling_slices(spark):
+def test_extraction_equals_brute_force_without_shuffling_slices(spark, large):
     rng = np.random.default_rng(4)
     for sides in ([6, 5], [4, 6, 5], [3, 2, 4, 3]):
         shape = [8] * len(sides)
